@@ -21,7 +21,7 @@ from graphstitch.llm.common import blank_words, without
 BUCKETS = 1 << 16
 #: Bound of the sample of trusted labelled documents.
 TRUSTED_DOCS = 20_000
-THRESHOLD = -0.16
+THRESHOLD = -0.35
 #: Longest n-gram.
 ORDER = 1
 SYMBOLS = "#*$%&|<>"
