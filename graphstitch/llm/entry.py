@@ -6,7 +6,7 @@ import importlib
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphstitch.llm import quality_llr
+from graphstitch.llm import quality_llr, recompression, winnowing
 from graphstitch.llm.common import read
 
 
@@ -14,12 +14,24 @@ def op8_quality_llr(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_llr.assess(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")).drop("text")
 
 
+def op6_recompression(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return recompression.digests(read(spark, sf_dir, "documents"))
+
+
+def op10_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return winnowing.assess(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("th")
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return importlib.import_module("corpus_pipeline").run(spark, sf_dir)
 
 
 def queries() -> dict:
-    return {"op8_quality_llr": op8_quality_llr}
+    return {
+        "op6_recompression": op6_recompression,
+        "op8_quality_llr": op8_quality_llr,
+        "op10_winnowing": op10_winnowing,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
