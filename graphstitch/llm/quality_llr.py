@@ -21,9 +21,9 @@ from graphstitch.llm.common import blank_words, without
 BUCKETS = 1 << 16
 #: Bound of the sample of trusted labelled documents.
 TRUSTED_DOCS = 20_000
-THRESHOLD = -0.35
+THRESHOLD = -0.16
 #: Longest n-gram.
-ORDER = 1
+ORDER = 2
 SYMBOLS = "#*$%&|<>"
 
 
