@@ -28,21 +28,17 @@ BROADCAST_BYTES = 64 << 20
 _PLACE = (1 << 30) - 1
 
 
-def fingerprints(words):
-    """Native: the kept fingerprints of an array of words, hash above and place in the low 30 bits."""
-    n = F.size(words)
-    return F.when(n >= SPAN, F.array_distinct(_minima(_packed(words), n))).otherwise(F.array().cast("array<bigint>"))
-
-
-def _packed(words):
-    return F.transform(
+def fingerprints(texts: DataFrame, words: str, name: str) -> DataFrame:
+    """Native: adds the kept fingerprints of a column of words, hash above and place in the low 30 bits."""
+    packed = F.transform(
         F.sequence(F.lit(0), F.size(words) - GRAM),
         lambda i: F.xxhash64(*[F.get(words, i + k) for k in range(GRAM)]).bitwiseAND(F.lit(~_PLACE)).bitwiseOR(i.cast("long")),
     )
-
-
-def _minima(packed, n):
-    return F.transform(F.sequence(F.lit(1), n - SPAN + 1), lambda i: F.array_min(F.slice(packed, i, KEEP)))
+    none = F.array().cast("array<bigint>")
+    texts = texts.withColumn(name, F.when(F.size(words) >= SPAN, packed).otherwise(none))
+    # more than one reference keeps this a column of its own; inlined, the lambda would make it anew for each place
+    least = F.transform(F.sequence(F.lit(1), F.size(name) - KEEP + 1), lambda i: F.array_min(F.slice(name, i, KEEP)))
+    return texts.withColumn(name, F.when(F.size(name) >= KEEP, F.array_distinct(least)).otherwise(none))
 
 
 def _agree(step: int):
@@ -66,7 +62,7 @@ def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST
     """A row per document and contaminated span: doc_id, th (the text's hash), n_words, item_id, a, b; and a row with null
     a, b for each document itself."""
     items = benchmark.select("item_id", term_words(F.col("text")).alias("iw")).where("size(iw) > 0").distinct()
-    long = items.where(F.size("iw") >= SPAN).select("item_id", "iw", F.explode(fingerprints(F.col("iw"))).alias("f"))
+    long = fingerprints(items.where(F.size("iw") >= SPAN), "iw", "f").select("item_id", "iw", F.explode("f").alias("f"))
     long = long.select("item_id", "iw", F.col("f").bitwiseAND(F.lit(~_PLACE)).alias("key"), F.col("f").bitwiseAND(F.lit(_PLACE)).cast("int").alias("iat"))
     short = items.where(F.size("iw") < SPAN).select("item_id", "iw", F.get("iw", F.lit(0)).alias("key"))
     size = long.agg(F.sum(F.octet_length(F.array_join("iw", " ")) + 64)).union(short.agg(F.sum(F.octet_length(F.array_join("iw", " ")) + 64))).collect()
@@ -76,8 +72,7 @@ def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST
     spark = docs.sparkSession
     self_row = spark.range(1).select(F.lit(None).cast(items.schema["item_id"].dataType).alias("item_id"), F.lit(None).cast("array<string>").alias("iw"), F.lit(-1).cast("long").alias("key"), F.lit(0).alias("iat"))
     words = _tokenised(docs)
-    fps = words.withColumn("f", F.array_append(fingerprints(F.col("w")), F.lit(-1).cast("long")))
-    fps = fps.select("doc_id", "th", "w", F.explode("f").alias("f"))
+    fps = fingerprints(words, "w", "f").select("doc_id", "th", "w", F.explode(F.array_append("f", F.lit(-1).cast("long"))).alias("f"))
     # packed values have any sign; -1 would mean 30 low bits all set, a place that no text reaches
     key = F.when(F.col("f") == -1, F.col("f")).otherwise(F.col("f").bitwiseAND(F.lit(~_PLACE)))
     fps = fps.select("doc_id", "th", "w", key.alias("key"), F.col("f").bitwiseAND(F.lit(_PLACE)).cast("int").alias("at"))
