@@ -31,7 +31,7 @@ from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buff
 WINDOW = 35
 ROUNDS = 3
 #: Rows under one name beyond which the name leaves the grouping path.
-HOT = 2_000
+HOT = 100_000
 #: Hot names that may be broadcast (8 bytes each); beyond, a shuffled join.
 HOT_BROADCAST = 200_000
 
