@@ -6,7 +6,7 @@ import importlib
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphstitch.llm import quality_llr, recompression, winnowing
+from graphstitch.llm import order_minhash, quality_llr, recompression, winnowing
 from graphstitch.llm.common import read
 
 
@@ -18,6 +18,10 @@ def op6_recompression(spark: SparkSession, sf_dir: str) -> DataFrame:
     return recompression.digests(read(spark, sf_dir, "documents"))
 
 
+def op9_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return order_minhash.membership(read(spark, sf_dir, "documents"))
+
+
 def op10_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return winnowing.assess(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("th")
 
@@ -30,6 +34,7 @@ def queries() -> dict:
     return {
         "op6_recompression": op6_recompression,
         "op8_quality_llr": op8_quality_llr,
+        "op9_order_minhash": op9_order_minhash,
         "op10_winnowing": op10_winnowing,
     }
 
