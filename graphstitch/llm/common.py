@@ -168,3 +168,23 @@ def lists_of(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """For groups of these lengths laid end to end: the group of each item, and its place in it."""
     group = np.repeat(np.arange(len(lengths)), lengths)
     return group, np.arange(len(group)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+
+
+class Memo:
+    """A bounded memory of a function over many keys: what was not used for a whole generation is forgotten."""
+
+    def __init__(self, fill, most: int = 250_000):
+        self.fill, self.most, self.young, self.old = fill, most, {}, {}
+
+    def many(self, keys: list) -> list:
+        got = list(map(self.young.get, keys))
+        if None not in got:
+            return got
+        missing = list({k for k, v in zip(keys, got) if v is None})
+        found = {k: self.old[k] for k in missing if k in self.old}
+        missing = [k for k in missing if k not in found]
+        found.update(zip(missing, self.fill(missing)))
+        if len(self.young) + len(found) > self.most:
+            self.old, self.young = self.young, {}
+        self.young.update(found)
+        return [found[k] if v is None else v for k, v in zip(keys, got)]

@@ -6,7 +6,7 @@ import importlib
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphstitch.llm import order_minhash, quality_llr, recompression, winnowing
+from graphstitch.llm import bpe_tree, order_minhash, quality_llr, recompression, winnowing
 from graphstitch.llm.common import read
 
 
@@ -18,6 +18,10 @@ def op6_recompression(spark: SparkSession, sf_dir: str) -> DataFrame:
     return recompression.digests(read(spark, sf_dir, "documents"))
 
 
+def op7_bpe_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe_tree.digests(read(spark, sf_dir, "documents"))
+
+
 def op9_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return order_minhash.membership(read(spark, sf_dir, "documents"))
 
@@ -33,9 +37,11 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict:
     return {
         "op6_recompression": op6_recompression,
+        "op7_bpe_tree": op7_bpe_tree,
         "op8_quality_llr": op8_quality_llr,
         "op9_order_minhash": op9_order_minhash,
         "op10_winnowing": op10_winnowing,
+        "pipeline": pipeline,
     }
 
 
