@@ -6,7 +6,7 @@ import importlib
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphstitch.llm import bpe_tree, order_minhash, quality_llr, recompression, winnowing
+from graphstitch.llm import bpe_tree, order_minhash, quality_llr, rans, recompression, warc, winnowing
 from graphstitch.llm.common import read
 
 
@@ -14,6 +14,14 @@ def op8_quality_llr(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_llr.assess(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")).drop("text")
 
 
+def op1_warc_revisits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(read(spark, sf_dir, "pages")).drop("archive")
+
+
+def op4_rans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rans.round_trip(read(spark, sf_dir, "documents"))
+
+
 def op6_recompression(spark: SparkSession, sf_dir: str) -> DataFrame:
     return recompression.digests(read(spark, sf_dir, "documents"))
 
@@ -36,6 +44,8 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict:
     return {
+        "op1_warc_revisits": op1_warc_revisits,
+        "op4_rans": op4_rans,
         "op6_recompression": op6_recompression,
         "op7_bpe_tree": op7_bpe_tree,
         "op8_quality_llr": op8_quality_llr,
@@ -46,4 +56,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_warc_revisits": warc.SQL}
