@@ -35,6 +35,8 @@ HOT = 100_000
 #: Hot names that may be broadcast (8 bytes each); beyond, a shuffled join.
 HOT_BROADCAST = 200_000
 
+#: In place of a symbol's place: a stretch of windows that is settled already.
+SETTLED = -1
 FILED = "name long, doc_id long, th int, lead int, first int, body binary"
 SPAN = "doc_id long, th int, a int, b int"
 
@@ -94,7 +96,9 @@ def _least(name: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
 
 def file_windows(data: np.ndarray, offs: np.ndarray, window: int = WINDOW):
     """Rows of consecutive windows filed under one symbol: text, name, place of the symbol in the first window, first window
-    (a word number in its text), how many, and the 40-bit contents of all of them end to end."""
+    (a word number in its text), how many, and the 40-bit contents of all of them end to end. Of windows under their own
+    name that occur twice or more here, one is filed; all of them are settled, and come apart: text, first and last window
+    of each stretch."""
     starts, ends, first = common.spans(data, offs)
     x = word_names(data, starts, ends)
     count = np.maximum(np.diff(first) - window + 1, 0)
@@ -110,22 +114,40 @@ def file_windows(data: np.ndarray, offs: np.ndarray, window: int = WINDOW):
     found = i < j
     anchor = -1 - np.arange(len(s))
     anchor[found] = _least(name, i[found], j[found])
+    own = np.flatnonzero(~found)
+    _, least, back, times = np.unique(content[own], return_index=True, return_inverse=True, return_counts=True)
+    again = own[times[back] > 1]
+    gap = np.flatnonzero((np.diff(s[again]) != 1) | (np.diff(text[again]) != 0))
+    at, to = again[np.concatenate([[0], gap + 1])[: len(again)]], again[np.append(gap, len(again) - 1)[: len(again)]]
+    settled = text[at], k[at], k[to]
+    if len(again):
+        stay = np.ones(len(s), bool)
+        stay[again] = False
+        stay[own[least]] = True
+        text, k, s, content, found, anchor = (v[stay] for v in (text, k, s, content, found, anchor))
     head = np.flatnonzero(np.concatenate([[True], (anchor[1:] != anchor[:-1]) | (text[1:] != text[:-1])]))
     at, sure = anchor[head], found[head]
     where = np.where(sure, lo[np.maximum(at, 0)] - s[head], 0)
     filed = np.where(sure, name[np.maximum(at, 0)], pair(content[head], content[head], 99))
-    return text[head], filed.view(np.int64), where, k[head], np.diff(np.append(head, len(s))), content.view(np.uint8).reshape(-1, 8)[:, :5]
+    return text[head], filed.view(np.int64), where, k[head], np.diff(np.append(head, len(s))), content.view(np.uint8).reshape(-1, 8)[:, :5], settled
 
 
 def _file(batches):
     for batch in batches:
-        for a, b in slices(batch.column("text")):
+        for a, b in slices(batch.column("text"), 1 << 20):
             part = batch.slice(a, b - a)
             got = file_windows(*text_buffer(part.column("text")))
             if got is None:
                 continue
-            text, name, lead, first, many, body = got
+            text, name, lead, first, many, body, settled = got
             ends = np.concatenate([[0], np.cumsum(many * 5)]).astype(np.int32)
+            if len(settled[0]):  # under names that meet nothing; lead tells them, body holds the last window
+                who, a, b = settled
+                last = b.astype("<i8").view(np.uint8).reshape(-1, 8)
+                text, lead, first = np.concatenate([text, who]), np.concatenate([lead, np.full(len(who), SETTLED)]), np.concatenate([first, a])
+                name = np.concatenate([name, mix(pair(a.astype(np.uint64), who.astype(np.uint64), 3)).view(np.int64)])
+                ends = np.concatenate([ends, ends[-1] + 8 * np.arange(1, len(who) + 1)]).astype(np.int32)
+                body = np.concatenate([np.ascontiguousarray(body).ravel(), last.ravel()])
             take = pa.array(text)
             yield pa.RecordBatch.from_arrays(
                 [
@@ -148,8 +170,19 @@ def _windows(table: pa.RecordBatch):
     return row, lead[row] - k, first[row] + k, content
 
 
-def _spans(table: pa.RecordBatch, window: int = WINDOW) -> pa.RecordBatch | None:
+def _spans(table: pa.RecordBatch, window: int = WINDOW) -> list[pa.RecordBatch]:
     """Rows with whole names, sorted by name: spans of words covered by windows that occur twice or more."""
+    lead = table.column("lead").to_numpy()
+    ready = None
+    if (lead == SETTLED).any():
+        mark = table.filter(pa.array(lead == SETTLED))
+        last = np.frombuffer(b"".join(mark.column("body").to_pylist()), "<i8")
+        ready = pa.RecordBatch.from_arrays([mark.column("doc_id"), mark.column("th"), mark.column("first"), pa.array((last + window).astype(np.int32))], ["doc_id", "th", "a", "b"])
+        table = table.filter(pa.array(lead != SETTLED))
+    return [x for x in (ready, _grouped(table, window) if table.num_rows else None) if x is not None]
+
+
+def _grouped(table: pa.RecordBatch, window: int) -> pa.RecordBatch | None:
     name = table.column("name").to_numpy()
     group = np.cumsum(np.concatenate([[0], name[1:] != name[:-1]]))
     shared = np.flatnonzero(np.bincount(group)[group] > 1)
@@ -186,17 +219,18 @@ def _settle(batches):
         if cut:
             whole = pa.Table.from_batches([*rest, batch.slice(0, cut)]).combine_chunks().to_batches()
             rest = []
-            yield from (got for part in whole if (got := _spans(part)) is not None)
+            for part in whole:
+                yield from _spans(part)
         rest.append(batch.slice(cut))
     if rest:
         for part in pa.Table.from_batches(rest).combine_chunks().to_batches():
-            if (got := _spans(part)) is not None:
-                yield got
+            yield from _spans(part)
 
 
 def _loose(batches):
     """A row for each window of filed rows."""
     for batch in batches:
+        batch = batch.filter(pa.array(batch.column("lead").to_numpy() != SETTLED))
         row, lead, first, content = _windows(batch)
         take = pa.array(row)
         yield pa.RecordBatch.from_arrays(
@@ -208,7 +242,7 @@ def _loose(batches):
 def repeated_spans(texts: DataFrame, hot: int = HOT) -> DataFrame:
     """texts: doc_id, th, text. Returns word spans [a, b) of each text that repeated windows cover; spans may overlap."""
     filed = texts.mapInArrow(_file, FILED)
-    often = common.cut(filed.groupBy("name").agg(F.count("*").alias("n")).where(F.col("n") > hot).select("name"))
+    often = common.cut(filed.where(F.col("lead") != SETTLED).groupBy("name").agg(F.count("*").alias("n")).where(F.col("n") > hot).select("name"))
     n_hot = often.count()
     cold = filed
     if n_hot:
@@ -216,7 +250,7 @@ def repeated_spans(texts: DataFrame, hot: int = HOT) -> DataFrame:
         cold = filed.join(often, "name", "left_anti")
     out = cold.repartition(F.col("name")).sortWithinPartitions("name").mapInArrow(_settle, SPAN)
     if n_hot:
-        loose = filed.join(often, "name", "left_semi").mapInArrow(_loose, "name long, lead int, content long, doc_id long, th int, a int")
+        loose = filed.where(F.col("lead") != SETTLED).join(often, "name", "left_semi").mapInArrow(_loose, "name long, lead int, content long, doc_id long, th int, a int")
         key = ["name", "lead", "content"]
         twice = loose.groupBy(*key).agg(F.count("*").alias("n")).where("n > 1").select(*key)
         out = out.unionByName(loose.join(twice, key).select("doc_id", "th", "a", (F.col("a") + WINDOW).alias("b")))
