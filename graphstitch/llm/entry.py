@@ -6,7 +6,7 @@ import importlib
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphstitch.llm import bpe_tree, order_minhash, quality_llr, rans, recompression, warc, winnowing
+from graphstitch.llm import bpe_tree, language_gru, license_rules, order_minhash, quality_llr, rans, recompression, toxicity_knn, warc, winnowing
 from graphstitch.llm.common import read
 
 
@@ -18,10 +18,22 @@ def op1_warc_revisits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.round_trip(read(spark, sf_dir, "pages")).drop("archive")
 
 
+def op2_toxicity_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity_knn.score(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
+def op3_license_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_rules.scan(read(spark, sf_dir, "documents"))
+
+
 def op4_rans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rans.round_trip(read(spark, sf_dir, "documents"))
 
 
+def op5_language_gru(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_gru.identify(read(spark, sf_dir, "documents"))
+
+
 def op6_recompression(spark: SparkSession, sf_dir: str) -> DataFrame:
     return recompression.digests(read(spark, sf_dir, "documents"))
 
@@ -45,7 +57,10 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict:
     return {
         "op1_warc_revisits": op1_warc_revisits,
+        "op2_toxicity_knn": op2_toxicity_knn,
+        "op3_license_rules": op3_license_rules,
         "op4_rans": op4_rans,
+        "op5_language_gru": op5_language_gru,
         "op6_recompression": op6_recompression,
         "op7_bpe_tree": op7_bpe_tree,
         "op8_quality_llr": op8_quality_llr,
