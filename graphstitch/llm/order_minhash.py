@@ -3,8 +3,9 @@
 A text's k-mers are its runs of five words (a shorter text is one k-mer), each labelled with its occurrence number. Each of
 `SKETCHES` sketches takes the `PICKS` k-mers of least hash and names them in text order, so texts that agree in a sketch
 share k-mers in the same order. Equal texts are merged first; distinct texts that share a sketch are paired with the first
-and the last member of its bucket (never with each other: a bucket may hold a large part of the corpus), the pairs are
-aligned word by word inside a band, and a pair is linked when 1 - distance / longer length >= `SIMILARITY`. Classes are the
+member of its bucket, and those that this links to nobody with the last one (never with each other: a bucket may hold a
+large part of the corpus). Pairs are aligned word by word inside a band and linked when 1 - distance / longer length >=
+`SIMILARITY`. Classes are the
 connected components of the links, found by distributed label propagation.
 
 Scale: sketches (128 bytes a text) are shuffled, texts only by their own key and, for candidate pairs, by the leader's;
@@ -178,16 +179,22 @@ def classes(docs: DataFrame) -> DataFrame:
     distinct = common.cut(distinct)
     rows = distinct.where("many > 0").select("h", F.explode("sk").alias("s"))
     buckets = rows.groupBy("s").agg(F.min("h").alias("lo"), F.max("h").alias("hi"), F.count("*").alias("n")).where("n > 1").drop("n")
-    met = rows.join(buckets, "s")
-    pairs = met.select("h", F.explode(F.array("lo", "hi")).alias("b")).where("h <> b")
-    pairs = common.cut(pairs.select(F.greatest("h", "b").alias("a"), F.least("h", "b").alias("b")).distinct())
-    wanted = pairs.select(F.col("a").alias("h")).union(pairs.select(F.col("b").alias("h"))).distinct().join(distinct.select("h", "rep"), "h")
+    met = common.cut(rows.join(buckets, "s").select("h", "lo", "hi").distinct())
+    wanted = met.select(F.explode(F.array("h", "lo", "hi")).alias("h")).distinct().join(distinct.select("h", "rep"), "h")
     wanted = wanted.select(F.col("h").alias("_h"), "rep")
     held = texts.join(wanted, (texts["h"] == wanted["_h"]) & texts["doc_id"].eqNullSafe(wanted["rep"])).select("h", "text").dropDuplicates(["h"])
     held = common.cut(held)
-    ab = pairs.join(held.select(F.col("h").alias("a"), F.col("text").alias("ta")), "a")
-    ab = ab.join(held.select(F.col("h").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
-    links = common.cut(ab.mapInArrow(_verify, "a long, b long"))
+
+    def linked(pairs: DataFrame) -> DataFrame:
+        pairs = pairs.where("a <> b").distinct()
+        ab = pairs.join(held.select(F.col("h").alias("a"), F.col("text").alias("ta")), "a")
+        ab = ab.join(held.select(F.col("h").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
+        return common.cut(ab.mapInArrow(_verify, "a long, b long"))
+
+    links = linked(met.select(F.col("h").alias("a"), F.col("lo").alias("b")))
+    # whom no first member took meets the last ones
+    ends = links.select(F.explode(F.array("a", "b")).alias("h")).distinct()
+    links = common.cut(links.union(linked(met.join(ends, "h", "left_anti").select(F.col("h").alias("a"), F.col("hi").alias("b")))))
     comp = components(links)
     degree = links.select(F.col("a").alias("h")).union(links.select(F.col("b").alias("h"))).groupBy("h").agg(F.count("*").alias("links"))
     out = distinct.select("h", "rep", "copies").join(comp.withColumnRenamed("node", "h"), "h", "left").join(degree, "h", "left")
