@@ -48,7 +48,7 @@ class HeavyHex:
         column = 4 * ((i - base) % per) + F.when(row % 2 == 0, 3).otherwise(1)
         upper = row * length + column
         to = F.when(i < base, F.array(F.when(i % length < length - 1, i + 1))).otherwise(F.array(upper, upper + length))
-        return ids.select(i.alias("u"), F.explode(to).cast("long").alias("v")).where("v is not null")
+        return ids.select(i.alias("u"), F.explode(to.cast("array<bigint>")).alias("v")).where("v is not null")
 
     def sql(self, ids: str) -> str:
         base, length, per = self.rows * self.length, self.length, self.length // 4
