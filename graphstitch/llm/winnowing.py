@@ -41,17 +41,15 @@ def fingerprints(texts: DataFrame, words: str, name: str) -> DataFrame:
     return texts.withColumn(name, F.when(F.size(name) >= KEEP, F.array_distinct(least)).otherwise(none))
 
 
-def _agree(step: int):
-    """Do document and item have the same word `step` places after the fingerprint's first?"""
-    return F.coalesce(F.get("w", F.col("at") + step) == F.get("iw", F.col("iat") + step), F.lit(False))
-
-
-def _reach(steps: list[int]):
-    """How many of these steps agree before the first that doesn't."""
-    out = F.lit(len(steps))
-    for k in reversed(range(len(steps))):
-        out = F.when(~_agree(steps[k]), k).otherwise(out)
-    return out
+def _reach(sign: int, origin: int):
+    """How many words in a row agree, going from `origin` by `sign`, up to eight. Interpreted on the few rows that met: unrolled,
+    the comparisons make code whose compilation takes more memory than the data."""
+    same = F.transform(
+        F.sequence(F.lit(0), F.lit(KEEP - 2)),
+        lambda k: F.coalesce(F.get("w", F.col("at") + origin + sign * k) == F.get("iw", F.col("iat") + origin + sign * k), F.lit(False)),
+    )
+    first = F.array_position(same, False).cast("int")
+    return F.when(first == 0, F.lit(KEEP - 1)).otherwise(first - 1)
 
 
 def _tokenised(docs: DataFrame) -> DataFrame:
@@ -77,11 +75,10 @@ def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST
     key = F.when(F.col("f") == -1, F.col("f")).otherwise(F.col("f").bitwiseAND(F.lit(~_PLACE)))
     fps = fps.select("doc_id", "th", "w", key.alias("key"), F.col("f").bitwiseAND(F.lit(_PLACE)).cast("int").alias("at"))
     met = fps.join(hint(long.unionByName(self_row)), "key")
-    core = F.lit(True)
-    for k in range(GRAM):
-        core = core & _agree(k)
-    met = met.withColumns({"l": F.when(F.col("key") == -1, 0).otherwise(_reach([-k for k in range(1, KEEP)])), "r": F.when(F.col("key") == -1, 0).otherwise(_reach([GRAM - 1 + k for k in range(1, KEEP)]))})
-    met = met.where((F.col("key") == -1) | (core & (F.col("l") + F.col("r") + GRAM >= SPAN)))
+    core = F.slice("w", F.col("at") + 1, F.lit(GRAM)) == F.slice("iw", F.col("iat") + 1, F.lit(GRAM))
+    met = met.where((F.col("key") == -1) | core)
+    met = met.withColumns({"l": F.when(F.col("key") == -1, 0).otherwise(_reach(-1, -1)), "r": F.when(F.col("key") == -1, 0).otherwise(_reach(1, GRAM))})
+    met = met.where((F.col("key") == -1) | (F.col("l") + F.col("r") + GRAM >= SPAN))
     itself = F.col("key") == -1
     out = met.select(
         "doc_id", "th", F.size("w").cast("long").alias("n_words"), "item_id",
@@ -91,9 +88,7 @@ def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST
         return out
     each = words.select("doc_id", "th", "w", F.posexplode("w").alias("at", "key")).withColumnRenamed("key", "word")
     met = each.join(hint(short.withColumnRenamed("key", "word").withColumn("iat", F.lit(0))), "word")
-    whole = F.lit(True)
-    for k in range(1, SPAN - 1):
-        whole = whole & ((F.size("iw") <= k) | _agree(k))
+    whole = F.slice("w", F.col("at") + 1, F.size("iw")) == F.col("iw")
     few = met.where(whole).select("doc_id", "th", F.size("w").cast("long").alias("n_words"), "item_id", F.col("at").alias("a"), (F.col("at") + F.size("iw")).alias("b"))
     return out.unionByName(few)
 
