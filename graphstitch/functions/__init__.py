@@ -6,6 +6,7 @@ import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import BooleanType, DoubleType
 
 from graphstitch.plans.backtrack import adjacency, embeddings
 from graphstitch.plans.pattern import Pattern
@@ -20,13 +21,13 @@ def vertex_set(*cols) -> Column:
     return F.sort_array(F.array(*cols))
 
 
-@pandas_udf("boolean")
+@pandas_udf(BooleanType())
 def all_distinct(values: pd.Series) -> pd.Series:
     """Are all values of an array different? A cross-check of the built-in form."""
     return values.map(lambda x: len(set(x)) == len(x))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def fidelity(q: pd.Series) -> float:
     """Product of factors, as a grouped aggregate."""
     return float(q.prod())

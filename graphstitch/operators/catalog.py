@@ -31,7 +31,9 @@ class MotifCatalog:
         out = cls(graph)
         for m in motif_set(motifs):
             out.add(m, reuse=reuse)
-        if persist:
+            if graph.pinned and m.name != "edge":
+                out._rows[m.name] = out._tables[m.name].persist(StorageLevel.MEMORY_AND_DISK).count()
+        if persist and not graph.pinned:
             for t in out._tables.values():
                 t.persist(StorageLevel.MEMORY_AND_DISK)
             with ThreadPoolExecutor(max(1, parallel)) as pool:

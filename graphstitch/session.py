@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 
 #: Defaults for sessions that we start ourselves; a session as given is never changed.
@@ -19,6 +21,12 @@ def get_spark(master: str = "local[*]", **conf: str) -> SparkSession:
     return builder.getOrCreate()
 
 
+def shared_path(spark: SparkSession, name: str) -> str:
+    """A fresh path below the shared folder that the session names; our own where it names none."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/graphstitch-checkpoints"
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Ends the lineage in the shared checkpoint folder, so later stages survive lost executors."""
     spark = df.sparkSession

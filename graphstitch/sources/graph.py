@@ -19,6 +19,7 @@ LOCAL_EDGES = 2_000_000
 class DataGraph:
     vertices: DataFrame
     edges: DataFrame
+    pinned: bool = False
 
     @classmethod
     def from_edges(cls, df: DataFrame, u: str = "u", v: str = "v", directed: bool = False, symmetrize: bool = True, vertices: DataFrame | None = None) -> DataGraph:
@@ -52,7 +53,17 @@ class DataGraph:
 
     @cached_property
     def adjacency(self) -> DataFrame:
-        return self.edges.groupBy("u").agg(F.sort_array(F.collect_list("v")).alias("nbrs"))
+        near = self.edges.groupBy("u").agg(F.sort_array(F.collect_list("v")).alias("nbrs"))
+        if self.pinned:
+            near.persist().count()
+        return near
+
+    def pin(self) -> DataGraph:
+        """Holds a small graph in the executors. Its true size is then known when joins are planned, so they broadcast it, and
+        motif tables built on it are held too."""
+        out = DataGraph(self.vertices.persist(), self.edges.persist(), True)
+        out.vertices.count(), out.edges.count()
+        return out
 
     def where_degree(self, least: int) -> DataFrame:
         return self.degrees.where(F.col("degree") >= least).select(F.col("u").alias("id"))

@@ -20,6 +20,10 @@ class Grid:
     def vertices(self) -> int:
         return self.n * self.n
 
+    def pairs(self) -> list[tuple[int, int]]:
+        n = self.n
+        return [(r * n + c, r * n + c + s) for r in range(n) for c in range(n) for s, ok in ((1, c < n - 1), (n, r < n - 1)) if ok]
+
     def half_edges(self, ids: DataFrame) -> DataFrame:
         n, i = self.n, F.col("id")
         to = F.array(F.when(i % n < n - 1, i + 1), F.when(i < n * (n - 1), i + n))
@@ -41,6 +45,14 @@ class HeavyHex:
     def vertices(self) -> int:
         return self.rows * self.length + (self.rows - 1) * self.length // 4
 
+    def pairs(self) -> list[tuple[int, int]]:
+        out = [(r * self.length + c, r * self.length + c + 1) for r in range(self.rows) for c in range(self.length - 1)]
+        for r in range(self.rows - 1):
+            for j in range(self.length // 4):
+                bridge, top = self.rows * self.length + r * (self.length // 4) + j, r * self.length + 4 * j + (1 if r % 2 else 3)
+                out += [(top, bridge), (top + self.length, bridge)]
+        return out
+
     def half_edges(self, ids: DataFrame) -> DataFrame:
         base, length, per = self.rows * self.length, self.length, self.length // 4
         i = F.col("id")
