@@ -110,4 +110,6 @@ def assess(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buc
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buckets: int = BUCKETS, trusted_docs: int = TRUSTED_DOCS, order: int = ORDER) -> DataFrame:
     """The documents that pass, with all their columns: the verdict is computed beside the row, without a join."""
     whole = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"))
-    return _verdict(whole, labels, threshold, buckets, trusted_docs, order).where("kept").select("_row.*")
+    judged = _verdict(whole, labels, threshold, buckets, trusted_docs, order)
+    # not a filter: pushed below, it would make the whole chain of columns anew inside one condition
+    return judged.select(F.inline(F.when(F.col("kept"), F.array("_row"))))
