@@ -651,7 +651,7 @@ query("stream_stateful_degree", "SELECT user_id, count(*) AS degree FROM events
 @query("stream_late_data", "SELECT CAST(1 AS BIGINT) AS dropped")
 def _(spark, sf_dir):
     at, log, out = (shared_path(spark, n) for n in ("late-files", "late-log", "late-out"))
-    e = io.table(spark, sf_dir, "events").select("ts", "user_id")
+    e = io.table(spark, sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"), "user_id")
     last = e.agg(F.max("ts").alias("ts"), F.lit(1).cast("long").alias("user_id"))
     for df in (last, last.select((F.col("ts") - F.expr("INTERVAL 5 DAYS")).alias("ts"), "user_id")):
         df.coalesce(1).write.mode("append").parquet(at)

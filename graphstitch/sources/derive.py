@@ -80,7 +80,7 @@ def coactive(spark: SparkSession, sf_dir: str, seconds: int = 60) -> DataGraph:
 
 
 def consecutive(events: DataFrame, seconds: int) -> DataFrame:
-    e = events.select("event_id", F.col("user_id"), F.unix_micros("ts").alias("t")).withColumn("b", F.floor(F.col("t") / (seconds * 1_000_000)).cast("long"))
+    e = events.select("event_id", F.col("user_id"), F.unix_micros(F.col("ts").cast("timestamp")).alias("t")).withColumn("b", F.floor(F.col("t") / (seconds * 1_000_000)).cast("long"))
     w = Window.partitionBy("b").orderBy("t", "event_id")
     e = e.withColumns({"pu": F.lag("user_id").over(w), "pt": F.lag("t").over(w)})
     last = e.groupBy((F.col("b") + 1).alias("b")).agg(F.max(F.struct("t", "event_id", "user_id")).alias("last"))

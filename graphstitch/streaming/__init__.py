@@ -20,7 +20,8 @@ EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value do
 def events(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame:
     """A file stream over the table `events`."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
@@ -46,7 +47,7 @@ def windowed(stream: DataFrame, kind: str, size: str = "1 hour", slide: str = "3
     """Events per tumbling, sliding or session window (gap = size); closed windows are given out."""
     s = stream.withWatermark("ts", delay)
     w = {"tumbling": lambda: F.window("ts", size), "sliding": lambda: F.window("ts", size, slide), "session": lambda: F.session_window("ts", size)}[kind]()
-    return s.groupBy(w.alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
+    return s.groupBy(w.alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), F.col("w.end").cast("timestamp_ntz").alias("end"), "n")
 
 
 def dedup(stream: DataFrame, keys: list[str], delay: str = "1 hour") -> DataFrame:
