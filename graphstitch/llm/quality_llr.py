@@ -21,7 +21,8 @@ from graphstitch.llm.common import blank_words, without
 BUCKETS = 1 << 16
 #: Bound of the sample of trusted labelled documents.
 TRUSTED_DOCS = 20_000
-THRESHOLD = -0.16
+THRESHOLD = -0.08
+PRIOR = 20.0
 #: Longest n-gram.
 ORDER = 2
 SYMBOLS = "#*$%&|<>"
@@ -42,7 +43,8 @@ def trusted_ids(labels: DataFrame, most: int = TRUSTED_DOCS) -> DataFrame:
 
 
 def ratio_table(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, trusted_docs: int = TRUSTED_DOCS, order: int = ORDER) -> list[float]:
-    """Log ratio of each bucket, add-one smoothed. Counts are combined before the shuffle: a row per bucket and task."""
+    """Log ratio of each bucket; `PRIOR` counts at the raw rate draw rare buckets to 0, so a document is not held to be worse
+    for n-grams that the trusted sample just happens to lack. Counts are combined before the shuffle: a row per bucket and task."""
     good = trusted_ids(labels, trusted_docs).withColumn("_good", F.lit(1))
     words = docs.select("doc_id", blank_words(F.col("text")).alias("w")).join(F.broadcast(good), "doc_id", "left")
     names = words.select("_good", F.explode("w").alias("g")) if order == 1 else words.select("_good", F.explode(grams_of("w", order)).alias("g"))
@@ -51,9 +53,9 @@ def ratio_table(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, trus
     raw, trusted = sum(r["raw"] for r in rows), sum(r["good"] for r in rows)
     if not trusted:
         return [0.0] * buckets
-    table = [math.log((raw + buckets) / (trusted + buckets))] * buckets
+    table, share = [0.0] * buckets, trusted / raw
     for r in rows:
-        table[r["b"]] += math.log((r["good"] + 1) / (r["raw"] + 1))
+        table[r["b"]] = math.log((r["good"] + PRIOR) / (r["raw"] * share + PRIOR))
     return table
 
 
