@@ -12,7 +12,7 @@ checkpoint its place in the stream u32 and the states u64 (the first checkpoint
 The file is a Parquet table of blocks in ascending doc_id order: part, number in the part, first id in the part, block.
 
 Defined results: null and empty texts have only the end id; rows without doc_id come first; repeated doc_ids keep all their
-rows, in the order of their texts; an empty table gives an empty file and result; other columns are ignored.
+rows, in the order of their ids; an empty table gives an empty file and result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -41,7 +41,7 @@ _BLOCKS = "part int, number int, at long, ids long, block binary"
 
 
 class Tokens:
-    """Ids of a text as 32-bit numbers. White space separates pre-tokens, so the runs between plain blanks and line ends
+    """Ids of a text as 16-bit numbers where the vocabulary allows, else 32-bit ones. White space separates pre-tokens, so the runs between plain blanks and line ends
     encode on their own; their ids are remembered."""
 
     def __init__(self, path: str):
@@ -49,10 +49,25 @@ class Tokens:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.memo = Memo(self._fill)
+        self.memo = Memo(self._fill, 500_000)
+        self.stop = "<|endoftext|>"
+        self.stop_id = self.tokenizer.token_to_id(self.stop)
+        self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
+
+    def _alone(self, chunk: str) -> bytes:
+        return np.array(self.tokenizer.encode(chunk, add_special_tokens=False).ids, self.kind).tobytes()
 
     def _fill(self, chunks: list[str]) -> list[bytes]:
-        return [np.array(e.ids, np.uint32).tobytes() for e in self.tokenizer.encode_batch(chunks, add_special_tokens=False)]
+        """All at once, with a special token between them: the library cuts there before it does anything else."""
+        if self.stop_id is None or any("<|" in c for c in chunks):
+            return [self._alone(c) for c in chunks]
+        ids = np.array(self.tokenizer.encode(self.stop.join(chunks), add_special_tokens=False).ids)
+        cuts = np.flatnonzero(ids == self.stop_id)
+        if len(cuts) != len(chunks) - 1:
+            return [self._alone(c) for c in chunks]
+        raw, w = ids.astype(self.kind).tobytes(), self.kind.itemsize
+        ends = [*(cuts * w).tolist(), len(raw)]
+        return [raw[x:y] for x, y in zip([0, *(e + w for e in ends[:-1])], ends)]
 
     def __call__(self, text: str | None) -> bytes:
         return b"".join(self.memo.many(text.replace("\n", " ").split(" "))) if text else b""
@@ -148,23 +163,32 @@ def decode_block(block: bytes, table: Table, first: int = 0, last: int | None =
     return [int(d) if k else None for d, k in zip(doc, known)], sizes, ids
 
 
-def count_ids(docs: DataFrame, path: str, end_id: int = END_ID) -> np.ndarray:
+def tokenised(docs: DataFrame, path: str, end_id: int = END_ID) -> DataFrame:
+    """doc_id and the ids of the text, with the end id behind, as bytes."""
+
+    def run(batches):
+        encode = tokens(path)
+        tail = np.array([end_id], encode.kind).tobytes()
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([encode(t) + tail for t in batch.column("text").to_pylist()], pa.binary())], ["doc_id", "ids"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids binary")
+
+
+def count_ids(ids: DataFrame, kind: np.dtype) -> np.ndarray:
     """Occurrences of each id over all documents; each task sends a row per id it met."""
 
     def run(batches):
         total = np.zeros(1 << 16, np.int64)
-        encode = tokens(path)
         for batch in batches:
-            for text in batch.column("text").to_pylist():
-                got = np.bincount(np.frombuffer(encode(text), np.uint32))
-                if len(got) > len(total):
-                    total = np.pad(total, (0, len(got) - len(total)))
-                total[: len(got)] += got
-            total[end_id] += len(batch)
+            got = np.bincount(np.frombuffer(b"".join(batch.column("ids").to_pylist()), kind))
+            if len(got) > len(total):
+                total = np.pad(total, (0, len(got) - len(total)))
+            total[: len(got)] += got
         met = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(met), pa.array(total[met])], ["id", "n"])
 
-    rows = docs.select("text").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).collect()
+    rows = ids.select("ids").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).collect()
     out = np.zeros(max([r["id"] for r in rows], default=0) + 1, np.int64)
     for r in rows:
         out[r["id"]] = r["n"]
@@ -172,27 +196,30 @@ def count_ids(docs: DataFrame, path: str, end_id: int = END_ID) -> np.ndarray:
 
 
 def write_ids(docs: DataFrame, target: str, tokenizer: str | None = None, end_id: int = END_ID, block_ids: int = BLOCK_IDS) -> Table:
-    """Writes the ids of all documents, each with the end id behind, in ascending doc_id order."""
+    """Writes the ids of all documents, each with the end id behind, in ascending doc_id order. The texts are tokenised once,
+    to a table beside the target; it is counted, then ordered and coded."""
     path = tokenizer or public_tokenizers.path(TOKENIZER)
-    table = Table(count_ids(docs, path, end_id))
+    kind, spark = tokens(path).kind, docs.sparkSession
+    tokenised(docs, path, end_id).write.parquet(f"{target}-raw")
+    raw = spark.read.schema("doc_id long, ids binary").parquet(f"{target}-raw")
+    table = Table(count_ids(raw, kind))
 
     def run(batches):
-        encode, part = tokens(path), TaskContext.get().partitionId()
+        part = TaskContext.get().partitionId()
         held: list[bytes] = []
         names: list[int | None] = []
         number = at = size = 0
-        tail = np.array([end_id], np.uint32).tobytes()
 
         def flush():
-            ids = np.frombuffer(b"".join(held), np.uint32)
-            block = encode_block(ids, names, np.array([len(h) // 4 for h in held]), table)
+            ids = np.frombuffer(b"".join(held), kind)
+            block = encode_block(ids, names, np.array([len(h) // kind.itemsize for h in held]), table)
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([number], pa.int32()), pa.array([at], pa.int64()), pa.array([len(ids)], pa.int64()), pa.array([block], pa.binary())], ["part", "number", "at", "ids", "block"])
 
         for batch in batches:
-            for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
-                held.append(encode(text) + tail)
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), batch.column("ids").to_pylist()):
+                held.append(ids)
                 names.append(doc)
-                size += len(held[-1]) // 4
+                size += len(ids) // kind.itemsize
                 if size >= block_ids:
                     yield flush()
                     number, at, size = number + 1, at + size, 0
@@ -201,7 +228,7 @@ def write_ids(docs: DataFrame, target: str, tokenizer: str | None = None, end_id
         if held:
             yield flush()
 
-    ordered = docs.select("doc_id", "text").repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    ordered = raw.repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "ids")
     ordered.mapInArrow(run, _BLOCKS).write.parquet(target)
     return table
 
