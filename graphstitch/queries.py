@@ -503,7 +503,7 @@ text("agg_cube", "SELECT event_type, user_id % 3 AS part, count(*) AS n FROM eve
 @query("agg_pivot", "SELECT event_type, count(CASE WHEN user_id % 3 = 0 THEN 1 END) AS n0, count(CASE WHEN user_id % 3 = 1 THEN 1 END) AS n1, count(CASE WHEN user_id % 3 = 2 THEN 1 END) AS n2 FROM events GROUP BY event_type")
 def _(spark, sf_dir):
     e = io.table(spark, sf_dir, "events").withColumn("k", F.concat(F.lit("n"), F.col("user_id") % 3))
-    return e.groupBy("event_type").pivot("k", ["n0", "n1", "n2"]).agg(F.count("*")).na.fill(0)
+    return e.groupBy("event_type").pivot("k", ["n0", "n1", "n2"]).agg(F.count(F.lit(1))).na.fill(0)
 
 
 query("agg_adjacency", f"WITH {ctes('hh156')} SELECT u, string_agg(CAST(v AS VARCHAR), ' ' ORDER BY v) AS nbrs FROM edges GROUP BY u")(lambda spark, sf_dir: graph(spark, sf_dir, "hh156").adjacency.select("u", F.array_join("nbrs", " ").alias("nbrs")))

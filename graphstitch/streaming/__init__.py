@@ -44,10 +44,11 @@ def edges(stream: DataFrame, seconds: int, sink: Callable[[DataFrame, int], None
 
 
 def windowed(stream: DataFrame, kind: str, size: str = "1 hour", slide: str = "30 minutes", delay: str = "1 hour") -> DataFrame:
-    """Events per tumbling, sliding or session window (gap = size); closed windows are given out."""
+    """Events per tumbling or sliding window, or per user's session (gap = size); closed windows are given out."""
     s = stream.withWatermark("ts", delay)
     w = {"tumbling": lambda: F.window("ts", size), "sliding": lambda: F.window("ts", size, slide), "session": lambda: F.session_window("ts", size)}[kind]()
-    return s.groupBy(w.alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), F.col("w.end").cast("timestamp_ntz").alias("end"), "n")
+    key = ["user_id"] if kind == "session" else []
+    return s.groupBy(w.alias("w"), *key).agg(F.count("*").alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), F.col("w.end").cast("timestamp_ntz").alias("end"), *key, "n")
 
 
 def dedup(stream: DataFrame, keys: list[str], delay: str = "1 hour") -> DataFrame:
