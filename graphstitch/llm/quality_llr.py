@@ -88,9 +88,8 @@ def base_columns(docs: DataFrame) -> DataFrame:
     again = F.filter(s, lambda x, j: F.coalesce(F.get(s, j - 1)["h"] == x["h"], F.lit(False)) | F.coalesce(F.get(s, j + 1)["h"] == x["h"], F.lit(False)))
     d = d.withColumn("_p", F.when(s.isNotNull(), F.sort_array(F.transform(again, lambda x: x["i"])))).drop("_s")
     p = F.col("_p")
-    gaps = F.aggregate(
-        F.transform(p, lambda x, j: F.least(F.lit(5), x - F.get(p, j - 1))), F.lit(5), lambda a, g: a + F.coalesce(g, F.lit(0))
-    )
+    # the first window adds five words, each later one what it does not share with the window before
+    gaps = F.aggregate(F.transform(p, lambda x, j: F.when(j == 0, 5).otherwise(F.least(F.lit(5), x - F.get(p, j - 1)))), F.lit(0), lambda a, g: a + g)
     return d.withColumn("n_repeat_words", F.coalesce(F.when(F.size(p) > 0, gaps), F.lit(0)).cast("long")).drop("_p")
 
 
@@ -101,7 +100,9 @@ def _verdict(docs: DataFrame, labels: DataFrame, threshold: float, buckets: int,
     total = F.aggregate("_x", F.lit(0.0), lambda a, h: a + F.get(table, F.pmod(h, F.lit(buckets)).cast("int")))
     d = d.withColumn("score", F.when(F.size("_x") > 0, total / F.size("_x")).otherwise(0.0))
     d = d.withColumn("base_failed", (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words")))
-    return d.withColumn("kept", ~F.col("base_failed") & (F.col("score") >= threshold)).drop("w", "_x")
+    d = d.withColumn("kept", ~F.col("base_failed") & (F.col("score") >= threshold)).drop("w", "_x")
+    # a generator that a later filter is not pushed through: below it, the filter would make the whole chain of columns anew
+    return d.select(F.inline(F.array(F.struct(*d.columns))))
 
 
 def assess(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buckets: int = BUCKETS, trusted_docs: int = TRUSTED_DOCS, order: int = ORDER) -> DataFrame:
@@ -112,6 +113,4 @@ def assess(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buc
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, buckets: int = BUCKETS, trusted_docs: int = TRUSTED_DOCS, order: int = ORDER) -> DataFrame:
     """The documents that pass, with all their columns: the verdict is computed beside the row, without a join."""
     whole = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"))
-    judged = _verdict(whole, labels, threshold, buckets, trusted_docs, order)
-    # not a filter: pushed below, it would make the whole chain of columns anew inside one condition
-    return judged.select(F.inline(F.when(F.col("kept"), F.array("_row"))))
+    return _verdict(whole, labels, threshold, buckets, trusted_docs, order).where("kept").select("_row.*")
