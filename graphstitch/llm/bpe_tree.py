@@ -27,12 +27,14 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from graphstitch.llm.common import Memo
+from graphstitch.llm.common import Memo, slices
 
 RANKS = "byte_bpe_multi_50k.tiktoken"
 LEAF_CHARS = 1 << 14
 #: Pieces of at most so many bytes are merged directly.
 LEAF_BYTES = 64
+#: Chunks remembered by a worker, twice over (some 400 bytes each).
+MEMO = 100_000
 _SYNC = re.compile(r"(?<=\S) (?=\S)")
 _ODD = re.compile(r"\s | \s|^ | $")
 
@@ -49,7 +51,7 @@ class Bpe:
         self.ranks, self.pieces_of = ranks, regex.compile(pattern).findall
         self.bytes_of = {i: b for b, i in ranks.items()}
         self.compatible = functools.lru_cache(200_000)(self._compatible)
-        self.memo = Memo(lambda chunks: [self._chunk(c) for c in chunks])
+        self.memo = Memo(lambda chunks: [self._chunk(c) for c in chunks], MEMO)
 
     def merge(self, piece: bytes) -> list[bytes]:
         """Merges of lowest rank first, the leftmost of equals. Ranks of neighbours are kept beside the parts."""
@@ -124,7 +126,7 @@ def digests(docs: DataFrame, ranks: str | None = None) -> DataFrame:
 
     def run(batches):
         bpe = encoder(ranks or public_tokenizers.path(RANKS))
-        for batch in batches:
+        for batch in (b.slice(x, y - x) for b in batches for x, y in slices(b.column("text"))):
             n, ids, plain = [], [], []
             for text in batch.column("text").to_pylist():
                 got = bpe.encode(text)
@@ -141,7 +143,7 @@ def tokens(docs: DataFrame, ranks: str | None = None) -> DataFrame:
 
     def run(batches):
         bpe = encoder(ranks or public_tokenizers.path(RANKS))
-        for batch in batches:
+        for batch in (b.slice(x, y - x) for b in batches for x, y in slices(b.column("text"))):
             got = [b"".join(map(itemgetter(3), bpe.encode(t))) for t in batch.column("text").to_pylist()]
             n = np.array([len(g) // 4 for g in got], np.int64)
             ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(n)]).astype(np.int32)), pa.array(np.frombuffer(b"".join(got), np.int32)))
