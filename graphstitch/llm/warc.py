@@ -4,7 +4,7 @@ Headers (page id and payload digest) are shuffled by digest; of equal payloads t
 response, and every other record revisits it. Archives are then written with fresh headers: full HTTP responses, and
 revisit records that hold HTTP headers only and name the response they refer to. `read_archives` parses them back.
 
-Archives are the part files of Spark's text writer (gzip), each of about `ARCHIVE_BYTES` of payload, in the shared folder.
+Archives are the part files of Spark's text writer (gzip), of `ARCHIVE_RECORDS` records at most, in the shared folder.
 The counts of equal digests combine before their shuffle; large groups of equal pages meet only in a join that adaptive
 execution can split.
 
@@ -28,7 +28,7 @@ from graphstitch.llm.common import ensure_checkpoint_dir
 BASE32, DIGITS32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", "0123456789ABCDEFGHIJKLMNOPQRSTUV"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 DATE = "2024-01-01T00:00:00Z"
-ARCHIVE_BYTES = 16 << 20
+ARCHIVE_RECORDS = 5_000
 LEAST_BYTES = 0
 END = "\r\n\r\n"
 RECORD = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long, archive string"
@@ -72,12 +72,9 @@ def records(pages: DataFrame, least_bytes: int = LEAST_BYTES) -> DataFrame:
     return p.select(F.concat(head, block).alias("value"))
 
 
-def write_archives(pages: DataFrame, path: str, least_bytes: int = LEAST_BYTES, archive_bytes: int = ARCHIVE_BYTES) -> int:
-    """Writes all records under `path`; returns how many archives were asked for."""
-    total = pages.agg(F.sum(F.octet_length(F.coalesce("html", F.lit(""))) + 600)).first()[0] or 0
-    n = max(1, -(-total // archive_bytes))
-    records(pages, least_bytes).repartition(n).write.option("lineSep", END).option("compression", "gzip").text(path)
-    return n
+def write_archives(pages: DataFrame, path: str, least_bytes: int = LEAST_BYTES, archive_records: int = ARCHIVE_RECORDS) -> None:
+    """Writes all records under `path`, as they are dealt by the join that decided them: no further exchange of the payloads."""
+    records(pages, least_bytes).write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", archive_records).text(path)
 
 
 def parse(raw: bytes):
