@@ -28,17 +28,26 @@ BROADCAST_BYTES = 64 << 20
 _PLACE = (1 << 30) - 1
 
 
-def fingerprints(texts: DataFrame, words: str, name: str) -> DataFrame:
-    """Native: adds the kept fingerprints of a column of words, hash above and place in the low 30 bits."""
+def fingerprints(texts: DataFrame, words: str, *more: str) -> DataFrame:
+    """Native: `more` columns, n (how many words), and a row for each window of the words with key, its least hash, and at, the
+    place of it; one more row for each text itself has key -1. A fingerprint comes once for each window that keeps it.
+
+    The hashes are an array that is made once; windows are taken from it row by row, in generated code, so that nothing but
+    rows that meet an item is ever written out."""
+    n = F.size(words)
+    texts = texts.withColumn("_h", F.transform(words, lambda x: F.xxhash64(x)))
     packed = F.transform(
-        F.sequence(F.lit(0), F.size(words) - GRAM),
-        lambda i: F.xxhash64(*[F.get(words, i + k) for k in range(GRAM)]).bitwiseAND(F.lit(~_PLACE)).bitwiseOR(i.cast("long")),
+        F.slice("_h", F.lit(1), F.greatest(n - GRAM + 1, F.lit(0))),
+        lambda x, i: F.xxhash64(x, *[F.get("_h", i + k) for k in range(1, GRAM)]).bitwiseAND(F.lit(~_PLACE)).bitwiseOR(i.cast("long")),
     )
     none = F.array().cast("array<bigint>")
-    texts = texts.withColumn(name, F.when(F.size(words) >= SPAN, packed).otherwise(none))
-    # more than one reference keeps this a column of its own; inlined, the lambda would make it anew for each place
-    least = F.transform(F.sequence(F.lit(1), F.size(name) - KEEP + 1), lambda i: F.array_min(F.slice(name, i, KEEP)))
-    return texts.withColumn(name, F.when(F.size(name) >= KEEP, F.array_distinct(least)).otherwise(none))
+    texts = texts.withColumn("_f", F.when(n >= SPAN, packed).otherwise(none)).drop("_h")
+    texts = texts.select(*more, words, "_f", n.alias("n"), F.explode(F.sequence(F.lit(-1), F.greatest(F.size("_f") - KEEP, F.lit(-1)))).alias("_i"))
+    least = F.when(F.col("_i") < 0, F.lit(-1).cast("long")).otherwise(F.least(*[F.get("_f", F.col("_i") + k) for k in range(KEEP)]))
+    texts = texts.select(*more, words, "n", least.alias("_m"))
+    # packed values have any sign; -1 would mean 30 low bits all set, a place that no text reaches
+    key = F.when(F.col("_m") == -1, F.col("_m")).otherwise(F.col("_m").bitwiseAND(F.lit(~_PLACE)))
+    return texts.select(*more, words, "n", key.alias("key"), F.col("_m").bitwiseAND(F.lit(_PLACE)).cast("int").alias("at"))
 
 
 def _reach(sign: int, origin: int):
@@ -46,7 +55,7 @@ def _reach(sign: int, origin: int):
     the comparisons make code whose compilation takes more memory than the data."""
     same = F.transform(
         F.sequence(F.lit(0), F.lit(KEEP - 2)),
-        lambda k: F.coalesce(F.get("w", F.col("at") + origin + sign * k) == F.get("iw", F.col("iat") + origin + sign * k), F.lit(False)),
+        lambda k: F.coalesce(F.get("cw", F.col("c") + origin + sign * k) == F.get("iw", F.col("iat") + origin + sign * k), F.lit(False)),
     )
     first = F.array_position(same, False).cast("int")
     return F.when(first == 0, F.lit(KEEP - 1)).otherwise(first - 1)
@@ -60,8 +69,8 @@ def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST
     """A row per document and contaminated span: doc_id, th (the text's hash), n_words, item_id, a, b; and a row with null
     a, b for each document itself."""
     items = benchmark.select("item_id", term_words(F.col("text")).alias("iw")).where("size(iw) > 0").distinct()
-    long = fingerprints(items.where(F.size("iw") >= SPAN), "iw", "f").select("item_id", "iw", F.explode("f").alias("f"))
-    long = long.select("item_id", "iw", F.col("f").bitwiseAND(F.lit(~_PLACE)).alias("key"), F.col("f").bitwiseAND(F.lit(_PLACE)).cast("int").alias("iat"))
+    long = fingerprints(items.where(F.size("iw") >= SPAN), "iw", "item_id").where("key <> -1")
+    long = long.select("item_id", "iw", "key", F.col("at").alias("iat")).distinct()
     short = items.where(F.size("iw") < SPAN).select("item_id", "iw", F.get("iw", F.lit(0)).alias("key"))
     size = long.agg(F.sum(F.octet_length(F.array_join("iw", " ")) + 64)).union(short.agg(F.sum(F.octet_length(F.array_join("iw", " ")) + 64))).collect()
     small = sum(r[0] or 0 for r in size) <= broadcast_bytes
@@ -70,18 +79,19 @@ def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST
     spark = docs.sparkSession
     self_row = spark.range(1).select(F.lit(None).cast(items.schema["item_id"].dataType).alias("item_id"), F.lit(None).cast("array<string>").alias("iw"), F.lit(-1).cast("long").alias("key"), F.lit(0).alias("iat"))
     words = _tokenised(docs)
-    fps = fingerprints(words, "w", "f").select("doc_id", "th", "w", F.explode(F.array_append("f", F.lit(-1).cast("long"))).alias("f"))
-    # packed values have any sign; -1 would mean 30 low bits all set, a place that no text reaches
-    key = F.when(F.col("f") == -1, F.col("f")).otherwise(F.col("f").bitwiseAND(F.lit(~_PLACE)))
-    fps = fps.select("doc_id", "th", "w", key.alias("key"), F.col("f").bitwiseAND(F.lit(_PLACE)).cast("int").alias("at"))
+    # of the text, only the words around a fingerprint go on: cw, where the fingerprint starts at c. A long text may hold
+    # thousands of hits, and each would carry all of it.
+    lead = F.least(F.col("at"), F.lit(KEEP - 1))
+    around = F.when(F.col("key") != -1, F.slice("w", F.col("at") - lead + 1, F.lit(2 * (KEEP - 1) + GRAM)))
+    fps = fingerprints(words, "w", "doc_id", "th").select("doc_id", "th", "n", "key", "at", lead.alias("c"), around.alias("cw"))
     met = fps.join(hint(long.unionByName(self_row)), "key")
-    core = F.slice("w", F.col("at") + 1, F.lit(GRAM)) == F.slice("iw", F.col("iat") + 1, F.lit(GRAM))
+    core = F.slice("cw", F.col("c") + 1, F.lit(GRAM)) == F.slice("iw", F.col("iat") + 1, F.lit(GRAM))
     met = met.where((F.col("key") == -1) | core)
     met = met.withColumns({"l": F.when(F.col("key") == -1, 0).otherwise(_reach(-1, -1)), "r": F.when(F.col("key") == -1, 0).otherwise(_reach(1, GRAM))})
     met = met.where((F.col("key") == -1) | (F.col("l") + F.col("r") + GRAM >= SPAN))
     itself = F.col("key") == -1
     out = met.select(
-        "doc_id", "th", F.size("w").cast("long").alias("n_words"), "item_id",
+        "doc_id", "th", F.col("n").cast("long").alias("n_words"), "item_id",
         F.when(~itself, F.col("at") - F.col("l")).alias("a"), F.when(~itself, F.col("at") + GRAM + F.col("r")).alias("b"),
     )
     if short.isEmpty():
