@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import functools
 import os
 
@@ -170,6 +171,23 @@ def lists_of(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return group, np.arange(len(group)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
 
 
+def tidy(function):
+    """A function over batches that hands freed memory back to the system at its end: workers are kept for later tasks, and
+    what their allocators hold meanwhile counts against the executor."""
+
+    @functools.wraps(function)
+    def run(batches):
+        try:
+            yield from function(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim:
+                trim(0)
+
+    return run
+
+
 class Memo:
     """A bounded memory of a function over many keys: what was not used for a whole generation is forgotten."""
 

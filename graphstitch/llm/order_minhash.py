@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphstitch.llm import common
-from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buffer, word_names
+from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buffer, tidy, word_names
 
 GRAM, SKETCHES, PICKS, SIMILARITY = 5, 16, 3, 0.8
 _NONE = np.uint64(2**64 - 1)
@@ -81,6 +81,7 @@ def sketches(name: np.ndarray, many: np.ndarray, count: int = SKETCHES, picks: i
     return out
 
 
+@tidy
 def _sketch(batches):
     for batch in batches:
         for a, b in slices(batch.column("text"), 2 << 20):
@@ -140,9 +141,10 @@ def alike(a: list, b: list, similarity: float = SIMILARITY) -> bool:
     return distance_within(a, b, int((1 - similarity) * longest + 1e-9)) is not None
 
 
+@tidy
 def _verify(batches):
     kept: tuple = (None, None)
-    for batch in batches:
+    for batch in (b.slice(x, y - x) for b in batches for x, y in slices(b.column("ta"), 1 << 20)):
         out = []
         for a, b, ta, tb in zip(*(batch.column(c).to_pylist() for c in ("a", "b", "ta", "tb"))):
             if kept[0] != b:

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphstitch.llm import common
-from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buffer, word_names
+from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buffer, word_names, tidy
 
 WINDOW = 35
 ROUNDS = 3
@@ -132,6 +132,7 @@ def file_windows(data: np.ndarray, offs: np.ndarray, window: int = WINDOW):
     return text[head], filed.view(np.int64), where, k[head], np.diff(np.append(head, len(s))), content.view(np.uint8).reshape(-1, 8)[:, :5], settled
 
 
+@tidy
 def _file(batches):
     for batch in batches:
         for a, b in slices(batch.column("text"), 1 << 20):
@@ -208,6 +209,7 @@ def _grouped(table: pa.RecordBatch, window: int) -> pa.RecordBatch | None:
     )
 
 
+@tidy
 def _settle(batches):
     """Streams a partition sorted by name; only the last, maybe unfinished, name waits for the next batch."""
     rest: list[pa.RecordBatch] = []
@@ -227,6 +229,7 @@ def _settle(batches):
             yield from _spans(part)
 
 
+@tidy
 def _loose(batches):
     """A row for each window of filed rows."""
     for batch in batches:
@@ -274,6 +277,7 @@ def _covered(spans: list[dict], n: int) -> np.ndarray:
     return np.cumsum(edge[:n]) > 0
 
 
+@tidy
 def _digest(batches):
     for batch in batches:
         rows = []
@@ -325,4 +329,4 @@ def remove_repeats(docs: DataFrame, hot: int = HOT) -> DataFrame:
                 batch = batch.set_column(at, "n_chars", pa.array(size, kind))
             yield batch.filter(keep).select(columns)
 
-    return _with_spans(docs, th, cover, hot).mapInArrow(apply, schema)
+    return _with_spans(docs, th, cover, hot).mapInArrow(tidy(apply), schema)
