@@ -3,13 +3,14 @@
 A text's k-mers are its runs of five words (a shorter text is one k-mer), each labelled with its occurrence number. Each of
 `SKETCHES` sketches takes the `PICKS` k-mers of least hash and names them in text order, so texts that agree in a sketch
 share k-mers in the same order. Equal texts are merged first; distinct texts that share a sketch are paired with the first
-member of its bucket, and those that this links to nobody with the last one (never with each other: a bucket may hold a
-large part of the corpus). Pairs are aligned word by word inside a band and linked when 1 - distance / longer length >=
-`SIMILARITY`. Classes are the
+member of its bucket, and those that this links to nobody with the last one. Where a bucket still holds several components,
+its members are tried against those of the other components, round by round, until none are left (`_settled`); pairs inside a
+component are not, so large groups of copies cost one pair per member. Pairs are aligned word by word inside a band and
+linked when 1 - distance / longer length >= `SIMILARITY`. Classes are the
 connected components of the links, found by distributed label propagation.
 
 Scale: sketches (128 bytes a text) are shuffled, texts only by their own key and, for candidate pairs, by the leader's;
-large buckets cost one pair per member and sketch at most. Nothing but counts reaches the driver. Two texts at the
+large buckets of copies cost one pair per member and sketch. Nothing but counts reaches the driver. Two texts at the
 similarity bound may miss each other in all sketches (probability about (1 - s^3)^16 for k-mer overlap s).
 
 Defined results: null and empty texts are equal to each other and form one class; so do texts of blanks only with equal
@@ -28,6 +29,8 @@ from graphstitch.llm import common
 from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buffer, tidy, word_names
 
 GRAM, SKETCHES, PICKS, SIMILARITY = 5, 16, 3, 0.8
+#: Members of a bucket that lead in the first round in which its components are tried against each other (about as many).
+LEADERS = 8
 _NONE = np.uint64(2**64 - 1)
 
 
@@ -172,6 +175,29 @@ def components(links: DataFrame) -> DataFrame:
         labels = new
 
 
+def _settled(live: DataFrame, links: DataFrame, held: DataFrame, linked) -> tuple[DataFrame, DataFrame]:
+    """live: h, s of shared buckets. Tries the pairs of a bucket that are not of one component yet: round by round more of its
+    members, drawn by hash, lead, and meet all that have not led. A bucket of one component needs no more pairs, so large groups
+    of copies cost nothing here, and no pair of different components is left untried. Returns links and components."""
+    comp, leaders = components(links), LEADERS
+    chance = F.pmod(F.xxhash64("h", "s"), F.lit(1 << 30)) / float(1 << 30)
+    while True:
+        named = live.join(comp.withColumnRenamed("node", "h"), "h", "left").select("s", "h", F.coalesce("label", "h").alias("label"))
+        mixed = named.groupBy("s").agg(F.count("*").alias("n"), F.min("label").alias("_l"), F.max("label").alias("_m")).where("_l < _m").select("s", "n")
+        named = common.cut(named.join(mixed, "s").withColumn("leads", chance * F.col("n") < leaders))
+        if named.isEmpty():
+            return links, comp
+        if leaders == LEADERS:  # later rounds need no other texts than the first
+            held = common.cut(held.join(named.select("h").distinct(), "h", "left_semi"))
+        led = named.where("leads").select("s", F.col("h").alias("b"), F.col("label").alias("lb"))
+        pairs = named.join(led, "s").where("label <> lb and (not leads or h > b)").select(F.greatest("h", "b").alias("a"), F.least("h", "b").alias("b"))
+        new = linked(pairs, held)
+        if not new.isEmpty():
+            links = common.cut(links.union(new).distinct())
+            comp = components(links)
+        live, leaders = named.where("not leads").select("h", "s"), 4 * leaders
+
+
 def classes(docs: DataFrame) -> DataFrame:
     """Per distinct text: h (its hash), class_id, members, links; the class is named after the least doc_id."""
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
@@ -187,7 +213,7 @@ def classes(docs: DataFrame) -> DataFrame:
     held = texts.join(wanted, (texts["h"] == wanted["_h"]) & texts["doc_id"].eqNullSafe(wanted["rep"])).select("h", "text").dropDuplicates(["h"])
     held = common.cut(held)
 
-    def linked(pairs: DataFrame) -> DataFrame:
+    def linked(pairs: DataFrame, held: DataFrame = held) -> DataFrame:
         pairs = pairs.where("a <> b").distinct()
         ab = pairs.join(held.select(F.col("h").alias("a"), F.col("text").alias("ta")), "a")
         ab = ab.join(held.select(F.col("h").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
@@ -197,7 +223,7 @@ def classes(docs: DataFrame) -> DataFrame:
     # whom no first member took meets the last ones
     ends = links.select(F.explode(F.array("a", "b")).alias("h")).distinct()
     links = common.cut(links.union(linked(met.join(ends, "h", "left_anti").select(F.col("h").alias("a"), F.col("hi").alias("b")))))
-    comp = components(links)
+    links, comp = _settled(rows.join(buckets.select("s"), "s"), links, held, linked)
     degree = links.select(F.col("a").alias("h")).union(links.select(F.col("b").alias("h"))).groupBy("h").agg(F.count("*").alias("links"))
     out = distinct.select("h", "rep", "copies").join(comp.withColumnRenamed("node", "h"), "h", "left").join(degree, "h", "left")
     out = out.select("h", "rep", "copies", F.coalesce("label", "h").alias("label"), F.coalesce("links", F.lit(0)).alias("links"))
