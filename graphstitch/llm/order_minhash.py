@@ -20,6 +20,8 @@ gives an empty result; other columns pass through `keep_one` untouched. Distinct
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -30,7 +32,7 @@ from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buff
 
 GRAM, SKETCHES, PICKS, SIMILARITY = 5, 16, 3, 0.8
 #: Members of a bucket that lead in the first round in which its components are tried against each other (about as many).
-LEADERS = 8
+LEADERS = 64
 _NONE = np.uint64(2**64 - 1)
 
 
@@ -179,23 +181,25 @@ def _settled(live: DataFrame, links: DataFrame, held: DataFrame, linked) -> tupl
     """live: h, s of shared buckets. Tries the pairs of a bucket that are not of one component yet: round by round more of its
     members, drawn by hash, lead, and meet all that have not led. A bucket of one component needs no more pairs, so large groups
     of copies cost nothing here, and no pair of different components is left untried. Returns links and components."""
-    comp, leaders = components(links), LEADERS
+    comp, leaders, found = components(links), LEADERS, []
     chance = F.pmod(F.xxhash64("h", "s"), F.lit(1 << 30)) / float(1 << 30)
     while True:
         named = live.join(comp.withColumnRenamed("node", "h"), "h", "left").select("s", "h", F.coalesce("label", "h").alias("label"))
         mixed = named.groupBy("s").agg(F.count("*").alias("n"), F.min("label").alias("_l"), F.max("label").alias("_m")).where("_l < _m").select("s", "n")
         named = common.cut(named.join(mixed, "s").withColumn("leads", chance * F.col("n") < leaders))
         if named.isEmpty():
-            return links, comp
+            break
         if leaders == LEADERS:  # later rounds need no other texts than the first
             held = common.cut(held.join(named.select("h").distinct(), "h", "left_semi"))
         led = named.where("leads").select("s", F.col("h").alias("b"), F.col("label").alias("lb"))
         pairs = named.join(led, "s").where("label <> lb and (not leads or h > b)").select(F.greatest("h", "b").alias("a"), F.least("h", "b").alias("b"))
-        new = linked(pairs, held)
-        if not new.isEmpty():
-            links = common.cut(links.union(new).distinct())
-            comp = components(links)
-        live, leaders = named.where("not leads").select("h", "s"), 4 * leaders
+        # the components of before the rounds serve in all of them: finding them anew costs more than the pairs that it would save
+        found.append(linked(pairs, held))
+        live, leaders = named.where("not leads").select("h", "s"), 8 * leaders
+    if not found:
+        return links, comp
+    links = common.cut(functools.reduce(DataFrame.union, found, links).distinct())
+    return links, components(links)
 
 
 def classes(docs: DataFrame) -> DataFrame:
