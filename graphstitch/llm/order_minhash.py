@@ -2,15 +2,19 @@
 
 A text's k-mers are its runs of five words (a shorter text is one k-mer), each labelled with its occurrence number. Each of
 `SKETCHES` sketches takes the `PICKS` k-mers of least hash and names them in text order, so texts that agree in a sketch
-share k-mers in the same order. Equal texts are merged first; distinct texts that share a sketch are paired with the first
-member of its bucket, and those that this links to nobody with the last one (never with each other: a bucket may hold a
-large part of the corpus). Pairs are aligned word by word inside a band and linked when 1 - distance / longer length >=
-`SIMILARITY`. Classes are the
-connected components of the links, found by distributed label propagation.
+share k-mers in the same order. Equal texts are merged first; distinct texts that share a sketch are a bucket.
 
-Scale: sketches (128 bytes a text) are shuffled, texts only by their own key and, for candidate pairs, by the leader's;
-large buckets cost one pair per member and sketch at most. Nothing but counts reaches the driver. Two texts at the
-similarity bound may miss each other in all sketches (probability about (1 - s^3)^16 for k-mer overlap s).
+Every pair of a bucket is settled, in three rounds of links and components: members meet the first one; then, where a
+bucket still holds several components, each member meets the likeliest one of another component; then all pairs of
+different components that are left. Before texts are moved a pair must pass a bound that no link breaks: counts of words in
+`BINS` bins differ by one per edit at most. Pairs are aligned word by word inside a band and linked when 1 - distance /
+longer length >= `SIMILARITY`. Classes are the connected components of the links, found by distributed label propagation.
+
+Scale: sketches (128 bytes a text) are shuffled, word counts only within buckets of several texts, texts only by their
+own key and for pairs that pass the bound. Large buckets of several components are dealt out in blocks of `BLOCK` members;
+their pairs of counts grow with the square of the bucket, their rows with that square over `BLOCK`. Nothing but counts
+reaches the driver. Two texts at the similarity bound may miss each other in all sketches (probability about (1 - s^3)^16
+for k-mer overlap s).
 
 Defined results: null and empty texts are equal to each other and form one class; so do texts of blanks only with equal
 blanks; a class is named after its least doc_id (null only if all are); repeated rows are in one class; an empty table
@@ -28,6 +32,7 @@ from graphstitch.llm import common
 from graphstitch.llm.common import grams, lists_of, mix, pair, slices, text_buffer, tidy, word_names
 
 GRAM, SKETCHES, PICKS, SIMILARITY = 5, 16, 3, 0.8
+BINS, BLOCK = 256, 1024
 _NONE = np.uint64(2**64 - 1)
 
 
@@ -81,6 +86,13 @@ def sketches(name: np.ndarray, many: np.ndarray, count: int = SKETCHES, picks: i
     return out
 
 
+def word_counts(name: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Words per bin, at most 255; one edit changes two bins by one, up and down, at most."""
+    n = len(first) - 1
+    text = np.repeat(np.arange(n), np.diff(first))
+    return np.minimum(np.bincount(text * BINS + (name % np.uint64(BINS)).astype(np.int64), minlength=n * BINS), 255).astype(np.uint8).reshape(n, BINS)
+
+
 @tidy
 def _sketch(batches):
     for batch in batches:
@@ -88,10 +100,89 @@ def _sketch(batches):
             part = batch.slice(a, b - a)
             data, offs = text_buffer(part.column("text"))
             starts, ends, first = common.spans(data, offs)
-            name, many = labelled_grams(word_names(data, starts, ends), first)
-            flat = sketches(name, many).view(np.int64).ravel()
-            ends = np.arange(len(part) + 1, dtype=np.int32) * SKETCHES
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("h"), pa.array(many), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], ["doc_id", "h", "many", "sk"])
+            words = word_names(data, starts, ends)
+            flat = sketches(*labelled_grams(words, first)).view(np.int64).ravel()
+            n = np.diff(first)
+            sk = pa.ListArray.from_arrays(pa.array(np.arange(len(part) + 1, dtype=np.int32) * SKETCHES), pa.array(flat))
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("h"), pa.array(n.astype(np.int64)), sk, _binary(word_counts(words, first))], ["doc_id", "h", "many", "sk", "counts"])
+
+
+def _binary(x: np.ndarray) -> pa.Array:
+    at = np.arange(len(x) + 1, dtype=np.int32) * BINS
+    return pa.Array.from_buffers(pa.binary(), len(x), [None, pa.py_buffer(at), pa.py_buffer(np.ascontiguousarray(x))])
+
+
+def _table(column: pa.Array) -> np.ndarray:
+    """The counts of a binary column, one row each."""
+    _, offsets, data = column.buffers()
+    at = np.frombuffer(offsets, np.int32)[column.offset]
+    return np.frombuffer(data, np.uint8)[at : at + len(column) * BINS].reshape(len(column), BINS)
+
+
+def room_between(counts_a, counts_b, many_a, many_b) -> np.ndarray:
+    """How many edits the word counts leave up to the bound of a link; never below 0 for texts that are alike."""
+    most = np.maximum(counts_a, counts_b).sum(-1, dtype=np.int64)
+    apart = most - np.minimum(counts_a.sum(-1, dtype=np.int64), counts_b.sum(-1, dtype=np.int64))
+    longest = np.maximum(many_a, many_b)
+    return ((1 - SIMILARITY) * longest + 1e-9).astype(np.int64) - np.maximum(apart, np.abs(many_a - many_b))
+
+
+@tidy
+def _first(batches):
+    """Pairs a, b that pass the bound."""
+    for batch in batches:
+        ma, mb = (batch.column(c).to_numpy() for c in ("ma", "mb"))
+        good = room_between(_table(batch.column("ca")), _table(batch.column("cb")), ma, mb) >= 0
+        yield batch.select(["a", "b"]).filter(pa.array(good))
+
+
+def _across(every: bool):
+    """Over rows sorted by bucket and block: pairs of different components that pass the bound, all of them or for each
+    member the one with most room."""
+
+    def settle(h, label, many, own, counts, i, j, out):
+        rows, cols = (np.flatnonzero(own == x) for x in (i, j))
+        for x in rows:
+            other = cols[(label[cols] != label[x]) & ((h[cols] > h[x]) if every and i == j else True)]
+            if len(other):
+                room = room_between(counts[x], counts[other], many[x], many[other])
+                near = other[room >= 0] if every else other[[room.argmax()]] if room.max() >= 0 else ()
+                out += [(min(h[x], h[y]), max(h[x], h[y])) for y in near]
+
+    @tidy
+    def run(batches):
+        held: list = []
+
+        def finish():
+            out: list = []
+            t = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+            cols = [t.column(c).to_numpy() for c in ("h", "label", "many", "part", "s", "i", "j")]
+            h, label, many, part, s, i, j = cols
+            counts = _table(t.column("counts"))
+            cuts = np.flatnonzero((np.diff(s) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
+            for a, b in zip([0, *cuts], [*cuts, len(s)]):
+                settle(h[a:b], label[a:b], many[a:b], part[a:b], counts[a:b], i[a], j[a], out)
+                if not every and i[a] != j[a]:
+                    settle(h[a:b], label[a:b], many[a:b], part[a:b], counts[a:b], j[a], i[a], out)
+            held.clear()
+            a, b = zip(*set(out)) if out else ((), ())
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+        for batch in batches:
+            if not len(batch):
+                continue
+            key = [batch.column(c).to_numpy() for c in ("s", "i", "j")]
+            # rows of the last block may go on in the next batch
+            last = int(np.flatnonzero(np.any([k != k[-1] for k in key], axis=0))[-1]) + 1 if any((k != k[-1]).any() for k in key) else 0
+            if last or held and any(held[-1].column(c)[-1].as_py() != batch.column(c)[0].as_py() for c in ("s", "i", "j")):
+                if last:
+                    held.append(batch.slice(0, last))
+                yield finish()
+            held.append(batch.slice(last))
+        if held:
+            yield finish()
+
+    return run
 
 
 def distance_within(a: list, b: list, k: int) -> int | None:
@@ -173,36 +264,44 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def classes(docs: DataFrame) -> DataFrame:
-    """Per distinct text: h (its hash), class_id, members, links; the class is named after the least doc_id."""
+    """Per distinct text: h (its hash), label (of its class), class_id, members, links; class_id is the least doc_id."""
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
-    sk = texts.mapInArrow(_sketch, "doc_id long, h long, many long, sk array<long>")
+    sk = texts.mapInArrow(_sketch, "doc_id long, h long, many long, sk array<long>, counts binary")
     # equal texts have equal sketches; the arrays are carried as one value per text and combined before the shuffle
-    distinct = sk.groupBy("h").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.max("sk").alias("sk"), F.max("many").alias("many"))
+    distinct = sk.groupBy("h").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.max("sk").alias("sk"), F.max("many").alias("many"), F.max("counts").alias("counts"))
     distinct = common.cut(distinct)
     rows = distinct.where("many > 0").select("h", F.explode("sk").alias("s"))
-    buckets = rows.groupBy("s").agg(F.min("h").alias("lo"), F.max("h").alias("hi"), F.count("*").alias("n")).where("n > 1").drop("n")
-    met = common.cut(rows.join(buckets, "s").select("h", "lo", "hi").distinct())
-    wanted = met.select(F.explode(F.array("h", "lo", "hi")).alias("h")).distinct().join(distinct.select("h", "rep"), "h")
-    wanted = wanted.select(F.col("h").alias("_h"), "rep")
+    buckets = rows.groupBy("s").agg(F.min("h").alias("lo"), F.count("*").alias("n")).where("n > 1")
+    rows = common.cut(rows.join(buckets, "s").select("s", "h", "lo", "n"))
+    wanted = rows.select("h").distinct().join(distinct.select("h", "rep"), "h").select(F.col("h").alias("_h"), "rep")
     held = texts.join(wanted, (texts["h"] == wanted["_h"]) & texts["doc_id"].eqNullSafe(wanted["rep"])).select("h", "text").dropDuplicates(["h"])
     held = common.cut(held)
+    size = distinct.select("h", "many", "counts")
 
     def linked(pairs: DataFrame) -> DataFrame:
-        pairs = pairs.where("a <> b").distinct()
         ab = pairs.join(held.select(F.col("h").alias("a"), F.col("text").alias("ta")), "a")
         ab = ab.join(held.select(F.col("h").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
         return common.cut(ab.mapInArrow(_verify, "a long, b long"))
 
-    links = linked(met.select(F.col("h").alias("a"), F.col("lo").alias("b")))
-    # whom no first member took meets the last ones
-    ends = links.select(F.explode(F.array("a", "b")).alias("h")).distinct()
-    links = common.cut(links.union(linked(met.join(ends, "h", "left_anti").select(F.col("h").alias("a"), F.col("hi").alias("b")))))
+    met = rows.where("h <> lo").select(F.col("h").alias("a"), F.col("lo").alias("b")).distinct()
+    met = met.join(size.toDF("a", "ma", "ca"), "a").join(size.toDF("b", "mb", "cb"), "b")
+    links = linked(met.mapInArrow(_first, "a long, b long"))
+    for every in (False, True):
+        comp = components(links)
+        live = rows.join(comp.withColumnRenamed("node", "h"), "h", "left").select("s", "n", "h", F.coalesce("label", "h").alias("label"))
+        mixed = live.groupBy("s").agg(F.min("label").alias("_a"), F.max("label").alias("_b")).where("_a <> _b").select("s")
+        parts = F.ceil(F.col("n") / BLOCK)
+        live = live.join(mixed, "s").join(size, "h").withColumn("part", F.pmod(F.xxhash64("h", "s"), parts))
+        live = live.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)))
+        live = live.select("s", F.least("part", "o").alias("i"), F.greatest("part", "o").alias("j"), "part", "h", "label", "many", "counts")
+        pairs = live.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j").mapInArrow(_across(every), "a long, b long").distinct()
+        links = common.cut(links.union(linked(common.cut(pairs))))
     comp = components(links)
     degree = links.select(F.col("a").alias("h")).union(links.select(F.col("b").alias("h"))).groupBy("h").agg(F.count("*").alias("links"))
     out = distinct.select("h", "rep", "copies").join(comp.withColumnRenamed("node", "h"), "h", "left").join(degree, "h", "left")
     out = out.select("h", "rep", "copies", F.coalesce("label", "h").alias("label"), F.coalesce("links", F.lit(0)).alias("links"))
     named = out.groupBy("label").agg(F.min("rep").alias("class_id"), F.sum("copies").alias("members"))
-    return common.cut(out.join(named, "label").select("h", "class_id", "members", (F.col("links") + F.col("copies") - 1).alias("links")))
+    return common.cut(out.join(named, "label").select("h", "label", "class_id", "members", (F.col("links") + F.col("copies") - 1).alias("links")))
 
 
 def membership(docs: DataFrame) -> DataFrame:

@@ -333,6 +333,20 @@ def test_near_copies(spark, docs, none):
     assert order_minhash.membership(none).isEmpty() and order_minhash.keep_one(none).isEmpty()
 
 
+def test_every_pair_of_a_bucket_is_settled(spark):
+    """Near copies that share sketches only with many other texts, by way of a passage that all have."""
+    rng = random.Random(8)
+    shared = [f"s{i}" for i in range(100)]
+    data = []
+    for g in range(30):
+        own = [f"w{rng.randrange(10**6)}" for _ in range(30)]
+        copy = [f"c{rng.randrange(10**6)}" if x % 5 == 2 else w for x, w in enumerate(own)]
+        data += [(2 * g, " ".join(shared + own)), (2 * g + 1, " ".join(shared + copy))]
+    df = spark.createDataFrame(data, "doc_id long, text string").repartition(4)
+    got = {r["doc_id"]: r["class_id"] for r in order_minhash.membership(df).collect()}
+    assert got == {i: i - i % 2 for i, _ in data}
+
+
 # --- 10 -----------------------------------------------------------------------------------------------------------------------
 @pytest.mark.parametrize("limit", [winnowing.BROADCAST_BYTES, 0])
 def test_winnowing(spark, docs, none, limit):
