@@ -347,6 +347,30 @@ def test_every_pair_of_a_bucket_is_settled(spark):
     assert got == {i: i - i % 2 for i, _ in data}
 
 
+def test_near_copies_at_the_bound(spark):
+    """Against brute force: no short text misses, long ones hardly."""
+    rng = random.Random(9)
+    shared = [f"s{i}" for i in range(60)]
+    data = []
+    for g in range(60):
+        n = rng.choice([5, 6, 9, 10, 11, 20, 24, 25, 29, 30, 31, 40, 90])
+        body = [f"w{rng.randrange(4000)}" for _ in range(n)] + shared[: rng.choice([0, n])]
+        data.append(body)
+        for share in (0.1, 0.2):
+            copy = list(body)
+            for x in rng.sample(range(len(copy)), int(share * len(copy))):
+                copy[x] = f"c{rng.randrange(10**6)}"
+            data.append(copy)
+    near = [[order_minhash.alike(a, b) for b in data] for a in data]
+    label = list(range(len(data)))
+    for _ in data:
+        label = [min(label[j] for j, x in enumerate(row) if x) for row in near]
+    df = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(data)], "doc_id long, text string").repartition(4)
+    got = {r["doc_id"]: r["class_id"] for r in order_minhash.membership(df).collect()}
+    assert all(got[i] == x for i, x in enumerate(label) if len(data[i]) <= 24)
+    assert sum(got[i] == x for i, x in enumerate(label)) >= 0.98 * len(data)
+
+
 # --- 10 -----------------------------------------------------------------------------------------------------------------------
 @pytest.mark.parametrize("limit", [winnowing.BROADCAST_BYTES, 0])
 def test_winnowing(spark, docs, none, limit):
