@@ -18,7 +18,7 @@ reaches the driver. With random changes at the similarity bound two long texts m
 probability about (1 - s^2)^20 = 0.7 %, s = 0.47 the overlap of word pairs.
 
 Defined results: null and empty texts are equal to each other and form one class; so do texts of blanks only with equal
-blanks; a class is named after its least doc_id (null only if all are); repeated rows are in one class; an empty table
+blanks; a class is named after its least doc_id (null only if all are) and told from others of that id by its label; repeated rows are in one class; an empty table
 gives an empty result; other columns pass through `keep_one` untouched. Distinct texts are known by a 64-bit hash.
 """
 
@@ -320,17 +320,19 @@ def classes(docs: DataFrame) -> DataFrame:
 
 
 def membership(docs: DataFrame) -> DataFrame:
-    """Per document: doc_id, class_id, members (documents in the class), links (equal texts and linked texts)."""
+    """Per document: doc_id, class_id, label (differs between classes, also where ids are repeated or null), members
+    (documents in the class), links (equal texts and linked texts)."""
     texts = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h"))
-    return texts.join(classes(docs), "h").select("doc_id", "class_id", "members", "links")
+    return texts.join(classes(docs), "h").select("doc_id", "class_id", "label", "members", "links")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The document that names its class stays, with all its columns; of equal rows, one."""
+    """Of each class one document that names it stays, with all its columns; of equal rows, one."""
     h = F.xxhash64(F.coalesce("text", F.lit("")))
-    ids = docs.select("doc_id", h.alias("_h"))
-    first = ids.join(classes(docs).select(F.col("h").alias("_h"), "class_id"), "_h").where(F.col("doc_id").eqNullSafe(F.col("class_id")))
-    first = common.cut(first.groupBy("doc_id", "class_id").agg(F.min("_h").alias("_h"), F.count("*").alias("_same")).select(F.col("doc_id").alias("_d"), "_h", "_same"))
+    ids = docs.select("doc_id", h.alias("_h")).groupBy("doc_id", "_h").agg(F.count("*").alias("_same"))
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("_n"), F.col("doc_id").alias("_d"), "_h", "_same")).alias("_first")
+    first = ids.join(classes(docs).select(F.col("h").alias("_h"), "label"), "_h").groupBy("label").agg(least)
+    first = common.cut(first.select("_first._d", "_first._h", "_first._same"))
     name = "_gs_h"
     while name in docs.columns:
         name += "_"

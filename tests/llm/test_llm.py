@@ -371,6 +371,15 @@ def test_near_copies_at_the_bound(spark):
     assert sum(got[i] == x for i, x in enumerate(label)) >= 0.98 * len(data)
 
 
+def test_unrelated_texts_of_one_id_stay(spark):
+    data = [(None, "alpha beta gamma"), (None, "delta epsilon zeta"), (7, "one two three"), (7, "four five six"), (7, "four  five six"), (8, "one two three"), (8, "one two three"), (None, "one two three")]
+    df = spark.createDataFrame(data, "doc_id long, text string")
+    kept = rows(order_minhash.keep_one(df), "doc_id", "text")
+    assert len(kept) == 4 and {" ".join(t.split()) for _, t in kept} == {"alpha beta gamma", "delta epsilon zeta", "one two three", "four five six"}
+    label = {(r["doc_id"], r["label"]) for r in order_minhash.membership(df).collect()}
+    assert len({x for _, x in label}) == 4
+
+
 # --- 10 -----------------------------------------------------------------------------------------------------------------------
 @pytest.mark.parametrize("limit", [winnowing.BROADCAST_BYTES, 0])
 def test_winnowing(spark, docs, none, limit):
