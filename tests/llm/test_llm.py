@@ -115,6 +115,13 @@ def test_toxicity(spark, none, labels):
     assert {r["score"] for r in toxicity_knn.score(df, lb.limit(0)).collect()} == {0.0}
 
 
+def test_toxic_terms_of_a_small_sample(spark):
+    data = [(i, " ".join(["lorem ipsum dolor"] + ["vilest worm"] * (i % 5 == 0)), int(i % 5 == 0)) for i in range(80)]
+    df = spark.createDataFrame([x[:2] for x in data], "doc_id long, text string")
+    got = toxicity_knn.score(df, spark.createDataFrame([(i, y) for i, _, y in data], "doc_id long, toxic int")).collect()
+    assert {r["doc_id"]: r["predicted"] for r in got} == {i: y for i, _, y in data}
+
+
 # --- 3 ------------------------------------------------------------------------------------------------------------------------
 def test_license(docs, none):
     want = []
