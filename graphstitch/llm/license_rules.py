@@ -93,7 +93,7 @@ SENTENCES = [
     ("wtfpl", "you just do what the fuck you want to", "what the fuck", 0.95),
 ]
 #: Stems of which one at least occurs wherever any rule can match.
-GATE = [b"licen", b"copyright", b"spdx", b"cc0", b" cc ", b"creative commons", b"public domain", b"permission", b"redistribut", b"warranty", b"rights reserved", b"confidential", b"gpl", b"gfdl", b"mpl", b"epl", b"cddl", b"eupl", b"lppl", b"apache", b"odbl", b"pddl", b"cecill", b"sspl", b"mulan", b"advertising", b"what the fuck", b"free software", b"neither the name", b"source code form"]
+GATE = [b"licen", b"copyright", b"spdx", b"cc0", b" cc ", b"creative commons", b"public domain", b"permission", b"redistribut", b"warranty", b"rights reserved", b"confidential", b"gpl", b"wtfpl", b"gfdl", b"mpl", b"epl", b"cddl", b"eupl", b"lppl", b"apache", b"odbl", b"pddl", b"cecill", b"sspl", b"mulan", b"advertising", b"what the fuck", b"free software", b"neither the name", b"source code form"]
 
 
 @dataclass(frozen=True)

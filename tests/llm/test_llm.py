@@ -148,6 +148,16 @@ def test_license_rules_overlap():
     assert s.scan("CC BY-NC-SA 4.0")[4:6] == ("cc-by", "cc-by,cc-by-nc-sa-4-0")
 
 
+def test_license_gate_lets_every_family_through():
+    s = license_rules.scanner()
+    for text, label in [("released under the wtfpl", "wtfpl"), ("wtfpl version 2", "wtfpl-2")]:
+        assert label in s.scan(text)[5].split(",")
+    for label, names, versions, _ in license_rules.FAMILIES:
+        for name in re.sub(r"\(\?:lesser\|library\)", "lesser", names.replace("[sc]", "s")).split("|"):
+            for text in [f"released under the {name}", *(f"{name} version {v}" for v in versions)]:
+                assert label in s.scan(text)[5], text
+
+
 # --- 4 ------------------------------------------------------------------------------------------------------------------------
 @settings(max_examples=30, deadline=None)
 @given(st.lists(st.integers(0, 300), max_size=700), st.integers(1, 40))
