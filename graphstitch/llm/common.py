@@ -52,6 +52,16 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+#: Rows of a few numbers each that may be broadcast.
+BROADCAST_ROWS = 1_000_000
+
+
+def small(df: DataFrame, most: int | None = None) -> DataFrame:
+    """A materialised table of narrow rows, marked for broadcast only where its counted rows are within the bound; beyond, it is
+    joined by an exchange."""
+    return F.broadcast(df) if df.count() <= (BROADCAST_ROWS if most is None else most) else df
+
+
 def without(text, chars: str, by: str = ""):
     """Native: each of a few ASCII characters replaced; plain byte searches, far cheaper than translate or a regex."""
     for c in chars:

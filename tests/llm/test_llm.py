@@ -364,6 +364,25 @@ def test_every_pair_of_a_bucket_is_settled(spark):
     assert got == {i: i - i % 2 for i, _ in data}
 
 
+@pytest.mark.parametrize("n", [32, 60, 100, 150, 190, 250, 400])
+def test_sketches_see_the_bound(n):
+    """Recall of the candidates alone, for texts with a fifth, and a tenth, of their words changed at random places."""
+    rng = np.random.default_rng(n)
+
+    def named(lists):
+        names = np.concatenate([np.array([zlib.crc32(w.encode()) for w in x], np.uint64) for x in lists])
+        text, code = order_minhash.names_of(order_minhash.mix(names), np.cumsum([0, *map(len, lists)]))
+        return [set(code[text == i].tolist()) for i in range(len(lists))]
+
+    for share, least in ((0.2, 0.9), (0.1, 0.99)):
+        a = [[f"w{rng.integers(3000)}" for _ in range(n)] for _ in range(200)]
+        b = [list(x) for x in a]
+        for x in b:
+            for i in rng.choice(n, int(share * n + 1e-9), replace=False):
+                x[i] = f"c{rng.integers(10**9)}"
+        assert sum(bool(x & y) for x, y in zip(named(a), named(b))) >= least * 200
+
+
 def test_near_copies_at_the_bound(spark):
     """Against brute force: no short text misses, long ones hardly."""
     rng = random.Random(9)
