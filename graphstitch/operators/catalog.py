@@ -23,11 +23,22 @@ class MotifCatalog:
         self.recipes: dict[str, StitchPlan | None] = {}
         self._tables: dict[str, DataFrame] = {}
         self._rows: dict[str, int] = {}
+        self._wide: dict[tuple, DataFrame] = {}
 
     @classmethod
     def build(cls, graph: DataGraph, motifs: Sequence[Motif | str], reuse: bool = True, parallel: int = 1, persist: bool = False) -> MotifCatalog:
         """reuse=False builds every motif straight from the edges. parallel: motifs whose parts are all there are
-        materialised from so many driver threads."""
+        materialised from so many driver threads. A pinned graph keeps the catalogs made for it, one for each set of motifs;
+        with persist the caller gets one of its own, to time it and to unpersist it."""
+        key = tuple((m.name, m.pattern.text()) for m in motif_set(motifs))
+        if graph.pinned and reuse and not persist:
+            if key not in graph.catalogs:
+                graph.catalogs[key] = cls._build(graph, motifs, reuse, parallel, persist)
+            return graph.catalogs[key]
+        return cls._build(graph, motifs, reuse, parallel, persist)
+
+    @classmethod
+    def _build(cls, graph: DataGraph, motifs: Sequence[Motif | str], reuse: bool, parallel: int, persist: bool) -> MotifCatalog:
         out = cls(graph)
         for m in motif_set(motifs):
             out.add(m, reuse=reuse)
@@ -57,6 +68,27 @@ class MotifCatalog:
     def table(self, name: str) -> DataFrame:
         return self._tables[name]
 
+    def wide(self, name: str, neighbours: bool = False, quality: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
+        """The motif table with n{j}, the neighbours of the vertex in column j, and with the qualities p{j} of that vertex and e{k}
+        of the motif's k-th edge. Made once for the catalog and held, so that a stitch looks nothing up any more."""
+        key = (name, neighbours, quality and tuple(map(id, quality)))
+        if key in self._wide:
+            return self._wide[key]
+        out, k = self._tables[name], self.motifs[name].n
+        if neighbours:
+            for j in range(k):
+                near = self.graph.adjacency.select(F.col("u").alias(f"c{j}"), F.col("nbrs").alias(f"n{j}"))
+                out = out.join(F.broadcast(near) if self.graph.pinned else near, f"c{j}", "left")
+        if quality:
+            vertex_q, edge_q = quality
+            for j in range(k):
+                out = out.join(vertex_q.select(F.col("id").alias(f"c{j}"), F.col("q").alias(f"p{j}")), f"c{j}")
+            for i, (a, b) in enumerate(sorted(self.motifs[name].pattern.edges)):
+                out = out.join(edge_q.select(F.col("u").alias(f"c{a}"), F.col("v").alias(f"c{b}"), F.col("q").alias(f"e{i}")), [f"c{a}", f"c{b}"])
+        self._wide[key] = out.persist(StorageLevel.MEMORY_AND_DISK)
+        self._wide[key].count()  # so that its size is known when stitches are planned
+        return self._wide[key]
+
     def count(self, name: str) -> int:
         if name not in self._rows:
             self._rows[name] = self._tables[name].count()
@@ -72,8 +104,9 @@ class MotifCatalog:
         return out
 
     def unpersist(self) -> None:
-        for t in self._tables.values():
+        for t in [*self._tables.values(), *self._wide.values()]:
             t.unpersist()
+        self._wide.clear()
 
     def save(self, path: str) -> None:
         """A Parquet table per motif, clustered by c0, and a manifest with the graph's fingerprint."""
@@ -85,14 +118,15 @@ class MotifCatalog:
         spark.createDataFrame([(json.dumps(about),)], "manifest string").coalesce(1).write.mode("overwrite").text(f"{path}/manifest")
 
     @classmethod
-    def load(cls, spark: SparkSession, path: str, fingerprint: str | None = None) -> MotifCatalog:
+    def load(cls, spark: SparkSession, path: str, fingerprint: str | None = None, graph: DataGraph | None = None) -> MotifCatalog:
+        """graph: the graph itself where it is at hand; else it is read from the catalog."""
         from graphstitch.plans.pattern import Pattern
 
         about = json.loads(spark.read.text(f"{path}/manifest").first()["value"])
         if fingerprint is not None and about["fingerprint"] != fingerprint:
             raise ValueError("the saved catalog belongs to another graph")
         edges = spark.read.parquet(f"{path}/edge")
-        out = cls(DataGraph(spark.read.parquet(f"{path}/vertices_of_graph"), edges.select(F.col("c0").alias("u"), F.col("c1").alias("v"))))
+        out = cls(graph or DataGraph(spark.read.parquet(f"{path}/vertices_of_graph"), edges.select(F.col("c0").alias("u"), F.col("c1").alias("v"))))
         for name, text in about["motifs"].items():
             out.motifs[name], out.recipes[name] = Motif(name, Pattern.from_text(text)), None
             out._tables[name] = spark.read.parquet(f"{path}/{name}")

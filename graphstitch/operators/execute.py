@@ -34,13 +34,18 @@ class BudgetExceeded(RuntimeError):
 
 def seed(table: DataFrame, tile: Tile) -> DataFrame:
     """The first tile's motif table under pattern vertex names: the identity of the chain of joins."""
-    return table.select(*[F.col(f"c{j}").alias(f"v{v}") for j, v in enumerate(tile.verts)], *[c for c in ("score",) if c in table.columns])
+    return table.select(*[F.col(f"c{j}").alias(f"v{v}") for j, v in enumerate(tile.verts)], *_near(table, tile), *[c for c in ("score",) if c in table.columns])
+
+
+def _near(table: DataFrame, tile: Tile) -> list[Column]:
+    """The neighbours of the vertices that the tile binds first, if the table has them: _n and the pattern's vertex."""
+    return [F.col(f"n{j}").alias(f"_n{v}") for j, v in enumerate(tile.verts) if v in tile.fresh and f"n{j}" in table.columns]
 
 
 def stitch(bound: DataFrame, table: DataFrame, tile: Tile, strategy: str | None = None, distinct: str = "in") -> DataFrame:
     """One equi-join on all seam columns; rows that reuse a vertex are refused inside the join. A tile without fresh vertices
     only closes edges, so it is a semi-join."""
-    right = table.select(*[F.col(f"c{j}").alias(f"r{v}") for j, v in enumerate(tile.verts)], *([F.col("score").alias("_s")] if "score" in table.columns else []))
+    right = table.select(*[F.col(f"c{j}").alias(f"r{v}") for j, v in enumerate(tile.verts)], *_near(table, tile), *([F.col("score").alias("_s")] if "score" in table.columns else []))
     right = right.hint(strategy) if strategy else right
     on = [bound[f"v{v}"] == right[f"r{v}"] for v in tile.seam]
     if not on:
@@ -52,7 +57,7 @@ def stitch(bound: DataFrame, table: DataFrame, tile: Tile, strategy: str | None
     if tile.fresh:
         on.append(semantics.fresh_condition(old, [f"r{v}" for v in tile.fresh], distinct))
     out = bound.join(right, _all(on))
-    cols = [*old, *[F.col(f"r{v}").alias(f"v{v}") for v in tile.fresh]]
+    cols = [*old, *[F.col(f"r{v}").alias(f"v{v}") for v in tile.fresh], *[c for c in right.columns if c.startswith("_n")]]
     return out.select(*cols, *([(F.col("score") * F.col("_s")).alias("score")] if scored else []))
 
 
@@ -66,25 +71,28 @@ def _all(conditions: Sequence[Column]) -> Column:
 def run_plan(
     plan: StitchPlan, catalog: MotifCatalog, induced: str | None = None, strategy: str | None = None, distinct: str = "in", symmetry: bool = False,
     cut_every: int = CUT_EVERY, first: Callable[[DataFrame], DataFrame] | None = None, factor: Callable[[DataFrame, Tile], DataFrame] | None = None,
-    max_rows: int | None = None, allowed: dict[int, DataFrame] | None = None,
+    max_rows: int | None = None, allowed: dict[int, DataFrame] | None = None, quality: tuple[DataFrame, DataFrame] | None = None,
+    keep: Callable[[DataFrame], DataFrame] | None = None,
 ) -> DataFrame:
     """The chain of stitches. induced: None, "adjacency", "antijoin" or "edgecount". first: applied to the seed (batches).
-    factor: adds a score column to a tile's motif table. allowed: per pattern vertex, the ids it may take."""
+    factor: makes a score column of a tile's motif table with qualities. keep: applied after every stitch. allowed: per pattern vertex, the ids it may take."""
     pattern, g = plan.pattern, catalog.graph
     if not plan.tiles:
         out = g.vertices.select(F.col("id").alias("v0"))
         return first(out) if first else out
-    near = g.adjacency
-    if induced == "adjacency" and catalog.count("edge") <= BROADCAST_VERTICES:
+    # small graphs: neighbours and qualities are columns of the motif tables, and a stitch is one join whatever it checks
+    held = induced == "adjacency" and g.pinned
+    near = g.adjacency if induced == "adjacency" and not held else None
+    if near is not None and catalog.count("edge") <= BROADCAST_VERTICES:
         near = F.broadcast(near)
     bound, covered, trace = None, [], []
     for i, tile in enumerate(plan.tiles):
-        table = catalog.table(tile.motif)
+        table = catalog.wide(tile.motif, held, quality) if held or quality else catalog.table(tile.motif)
         for v, ids in (allowed or {}).items():
             if v in tile.fresh:
                 table = table.join(ids.select(F.col(ids.columns[0]).alias(f"c{tile.verts.index(v)}")), f"c{tile.verts.index(v)}", "left_semi")
-        table = table.select(*[f"c{j}" for j in range(len(tile.verts))])
-        table = factor(table, tile) if factor else table
+        score = [factor(tile).alias("score")] if factor else []
+        table = table.select(*[f"c{j}" for j in range(len(tile.verts))], *[c for c in table.columns if held and c[0] == "n"], *score)
         if bound is None:
             bound = seed(table, tile)
             bound = first(bound) if first else bound
@@ -93,8 +101,11 @@ def run_plan(
         covered += [v for v in tile.fresh if v not in covered]
         if symmetry and (c := semantics.symmetry_condition(pattern, set(covered), set(tile.fresh))) is not None:
             bound = bound.where(c)
-        if induced == "adjacency" and tile.fresh:
+        if held and tile.fresh:
+            bound = semantics.induced_rows(bound, pattern, sorted(covered), tile.fresh)
+        elif induced == "adjacency" and tile.fresh:
             bound = semantics.induced_step(bound, near, pattern, sorted(covered), tile.fresh)
+        bound = keep(bound) if keep else bound
         if max_rows is not None:
             bound = cut(bound)
             trace.append((i, bound.count()))

@@ -20,7 +20,8 @@ RUN = "graph string, n int, seed int, motifs string, tiles int, solutions long,
 
 
 def run(g: DataGraph, pattern: Pattern, motifs: Sequence[str], graph: str = "", seed_: int = 0, semantics: str = "induced", catalog: MotifCatalog | None = None, baseline=None, max_rows: int | None = None) -> tuple:
-    """One execution: a row of RUN. prep: motif tables built and stored; compute: tiling and stitches; warm: without prep."""
+    """One execution: a row of RUN. prep: motif tables built and stored; compute: tiling and stitches; warm: without prep. baseline: what is timed beside it,
+    or its seconds."""
     began = time.perf_counter()
     mine = catalog or MotifCatalog.build(g, motifs, persist=True)
     prep = 0.0 if catalog else time.perf_counter() - began
@@ -36,9 +37,11 @@ def run(g: DataGraph, pattern: Pattern, motifs: Sequence[str], graph: str = "",
     if catalog is None:
         mine.unpersist()
     began = time.perf_counter()
-    if baseline:
+    if callable(baseline):
         baseline()
-    base = time.perf_counter() - began if baseline else -1.0
+        base = time.perf_counter() - began
+    else:
+        base = -1.0 if baseline is None else baseline
     return graph, pattern.n, seed_, "+".join(motifs), len(plan.tiles), solutions, prep, compute, prep + compute, compute, base, tiling / max(prep + compute, 1e-9), status
 
 

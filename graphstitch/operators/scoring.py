@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphstitch.operators.catalog import MotifCatalog
@@ -15,33 +15,30 @@ from graphstitch.plans.pattern import Pattern
 from graphstitch.sources.graph import DataGraph
 
 
-def attach(table: DataFrame, tile: Tile, vertex_q: DataFrame, edge_q: DataFrame, gates: dict[tuple[int, int], int] | None = None) -> DataFrame:
-    """A tile's motif table with its factor: every edge of the tile, and only the vertices that this tile binds first, so
-    nothing is charged twice. Quality tables are small beside bindings; Spark broadcasts them when their size allows."""
-    at = {v: j for j, v in enumerate(tile.verts)}
-    out, factor = table, F.lit(1.0)
-    for k, (a, b) in enumerate(tile.edges):
-        q = edge_q.select(F.col("u").alias(f"_u{k}"), F.col("v").alias(f"_w{k}"), F.col("q").alias(f"_q{k}"))
-        out = out.join(q, (F.col(f"c{at[a]}") == F.col(f"_u{k}")) & (F.col(f"c{at[b]}") == F.col(f"_w{k}")))
-        times = (gates or {}).get((a, b), 1)
-        factor = factor * (F.col(f"_q{k}") if times == 1 else F.pow(F.col(f"_q{k}"), F.lit(times)))
-    for k, v in enumerate(tile.fresh):
-        q = vertex_q.select(F.col("id").alias(f"_i{k}"), F.col("q").alias(f"_p{k}"))
-        out = out.join(q, F.col(f"c{at[v]}") == F.col(f"_i{k}"))
-        factor = factor * F.col(f"_p{k}")
-    return out.select(*[f"c{j}" for j in range(len(tile.verts))], factor.alias("score"))
+def tile_factor(tile: Tile, motif: Pattern, gates: dict[tuple[int, int], int] | None = None) -> Column:
+    """A tile's factor from the quality columns of its motif table: every edge of the tile, and only the vertices that this
+    tile binds first, so nothing is charged twice. gates: how often a pattern's edge is used."""
+    factor = F.lit(1.0)
+    for k, (a, b) in enumerate(sorted(motif.edges)):
+        i, j = sorted((tile.verts[a], tile.verts[b]))
+        times = (gates or {}).get((i, j), 1)
+        factor = factor * (F.col(f"e{k}") if times == 1 else F.pow(F.col(f"e{k}"), F.lit(times)))
+    for j, v in enumerate(tile.verts):
+        if v in tile.fresh:
+            factor = factor * F.col(f"p{j}")
+    return factor
 
 
 def score_layouts(g: DataGraph, pattern: Pattern, vertex_q: DataFrame, edge_q: DataFrame, motifs: Sequence = ("edge", "path4"), catalog: MotifCatalog | None = None, gates=None, min_score: float | None = None, induced: str | None = "adjacency") -> DataFrame:
-    """All layouts with their score, multiplied at every stitch. Factors are at most 1, so rows below `min_score` may go early."""
+    """All layouts with their score, multiplied at every stitch from qualities that the motif tables hold. Factors are at most
+    1, so rows below `min_score` go at the stitch where they fall below it."""
     catalog = catalog or MotifCatalog.build(g, motifs)
     plan = decompose(pattern, motifs)
-    if not plan.tiles:
-        return g.vertices.join(vertex_q, "id").select(F.col("id").alias("v0"), F.col("q").alias("score"))
-    add = lambda t, tile: attach(t, tile, vertex_q, edge_q, gates)
     keep = (lambda df: df.where(F.col("score") >= min_score)) if min_score is not None else None
-    out = run_plan(plan, catalog, induced, factor=add, first=keep)
-    return out.where(F.col("score") >= min_score) if min_score is not None else out
+    if not plan.tiles:
+        out = g.vertices.join(vertex_q, "id").select(F.col("id").alias("v0"), F.col("q").alias("score"))
+        return keep(out) if keep else out
+    return run_plan(plan, catalog, induced, factor=lambda t: tile_factor(t, catalog.motifs[t.motif].pattern, gates), quality=(vertex_q, edge_q), keep=keep)
 
 
 def score_after(layouts: DataFrame, pattern: Pattern, vertex_q: DataFrame, edge_q: DataFrame) -> DataFrame:
@@ -80,9 +77,8 @@ def quality_tables(spark, sf_dir: str, g: DataGraph) -> tuple[DataFrame, DataFra
     (part + supplier) falls on the edge's number."""
     line = spark.read.parquet(f"{sf_dir}/lineitem.parquet").select("l_partkey", "l_suppkey", "l_discount", "l_tax")
     vertex = line.groupBy(F.col("l_partkey").alias("id")).agg((1 - F.avg("l_tax") / 10).alias("q")).join(g.vertices, "id", "left_semi")
-    half = g.edges.where("u < v")
-    numbered = half.select("u", "v", (F.row_number().over(Window.orderBy("u", "v")) - 1).alias("k"))
-    m = half.count()
+    numbered = g.numbered_edges()
+    m = numbered.count()
     by = line.groupBy(F.pmod(F.col("l_partkey") + F.col("l_suppkey"), F.lit(m)).alias("k")).agg((1 - F.avg("l_discount") / 10).alias("q"))
     one = numbered.join(by, "k").select("u", "v", "q")
     return vertex, one.unionAll(one.select(F.col("v").alias("u"), F.col("u").alias("v"), "q"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import random
+from collections.abc import Sequence
 from dataclasses import dataclass
 from functools import cached_property
 
@@ -72,10 +73,22 @@ def star(k: int) -> Pattern:
     return Pattern(k + 1, frozenset((0, i) for i in range(1, k + 1)))
 
 
-def spine(n: int) -> Pattern:
-    """A routed star circuit: a snake path of about three quarters of the vertices with side leaves on every third."""
-    long = n - n // 4
-    return Pattern(n, frozenset([(i, i + 1) for i in range(long - 1)] + [(3 * k + 1, long + k) for k in range(n - long)]))
+def induced_on(data: Adjacency, chosen: Sequence[int]) -> Pattern:
+    """The pattern that the chosen vertices of a graph induce, numbered as they are listed."""
+    at = {v: i for i, v in enumerate(chosen)}
+    return Pattern(len(chosen), frozenset((at[u], at[w]) for u in chosen for w in data[u] if w in at and at[u] < at[w]))
+
+
+def routed_star(data: Adjacency, way: Sequence[int], n: int) -> Pattern:
+    """A star circuit routed on a device: the hub moves along a way, about three quarters of the vertices, and meets the others
+    beside it. All are vertices of the device, so the pattern has a placement there."""
+    for long in range(n - n // 4, n + 1):
+        spine = list(way[:long])
+        beside = [w for v in spine for w in sorted(data[v]) if w not in spine]
+        chosen = spine + list(dict.fromkeys(beside))[: n - long]
+        if len(chosen) == n:
+            return induced_on(data, chosen)
+    raise ValueError("the way is too short")
 
 
 def sample_pattern(data: Adjacency, n: int, seed: int, compact: float = 0.0) -> Pattern:
@@ -91,5 +104,4 @@ def sample_pattern(data: Adjacency, n: int, seed: int, compact: float = 0.0) ->
         weights = [1 + compact * len(data[w] & inside) for w in frontier]
         chosen.append(rng.choices(frontier, weights)[0])
         inside.add(chosen[-1])
-    at = {v: i for i, v in enumerate(chosen)}
-    return Pattern(n, frozenset((at[u], at[w]) for u in chosen for w in data[u] if w in at and at[u] < at[w]))
+    return induced_on(data, chosen)

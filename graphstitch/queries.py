@@ -229,7 +229,7 @@ def _(spark, sf_dir):
     return advisor.frequency(MotifCatalog.build(graph(spark, sf_dir, "hh156"), _SET), _SET)
 
 
-@query("motif_ranking")
+@query("motif_ranking", f"WITH {ctes('hh156')} " + " UNION ALL ".join(f"SELECT '{m}' AS motif, count(*) AS est_rows, CAST(count(*) // {len(LIBRARY[m].pattern.automorphisms())} AS BIGINT) AS frequency, {len(decompose(P12, ['edge', m]).tiles)} AS est_tiles, CASE WHEN count(*) = 0 THEN 0 ELSE round({len(LIBRARY[m].pattern.edges)} / (1 + CAST(count(*) AS DOUBLE) / 156), 6) END AS score FROM ({sqlgen.motif_sql(LIBRARY[m].pattern)}) q" for m in _SET))
 def _(spark, sf_dir):
     g = graph(spark, sf_dir, "hh156")
     return advisor.advise(g, P12, _SET, catalog=MotifCatalog.build(g, _SET, persist=True))
@@ -245,7 +245,7 @@ _RECIPES = {m: sqlgen.motif_sql(LIBRARY[m].pattern) for m in ("edge", "path4")}
 _PORTABLE = decompose(P8, ["edge", "path4"])
 
 
-@query("sql_portable", sqlgen.plan_sql(_PORTABLE, _RECIPES, ctes("hh156")))
+@query("sql_portable", sqlgen.to_sql(P8, ctes("hh156"), False))
 def _(spark, sf_dir):
     graph(spark, sf_dir, "hh156").edges.createOrReplaceTempView("edges_in")
     return spark.sql(sqlgen.plan_sql(_PORTABLE, _RECIPES, "edges AS (SELECT u, v FROM edges_in)"))
@@ -289,7 +289,7 @@ def _rounded(df):
 
 _match("layout_generate", "hh156", P12)
 query("layout_score", _score_sql(_L, _ROUNDED))(lambda spark, sf_dir: _rounded(_scored(spark, sf_dir)))
-query("layout_select_pruned", _score_sql(_L, _ROUNDED + " WHERE score >= 0.9295"))(lambda spark, sf_dir: _rounded(_scored(spark, sf_dir, min_score=0.9295)))
+query("layout_select_pruned", _score_sql(_L, _ROUNDED + " WHERE score >= 0.9345"))(lambda spark, sf_dir: _rounded(_scored(spark, sf_dir, min_score=0.9345)))
 query("layout_select", _score_sql(_L, _ROUNDED + f" ORDER BY round(score, 9) DESC, {sqlgen.select_list(_L.n)} LIMIT 5"))(lambda spark, sf_dir: scoring.select_layouts(_scored(spark, sf_dir), _L.n, 5))
 query("topk_layouts", SQL["layout_select"].replace("LIMIT 5", "LIMIT 20"))(lambda spark, sf_dir: scoring.select_layouts(_scored(spark, sf_dir), _L.n, 20))
 query("metric_score", _score_sql(_L, "SELECT count(*) AS layouts, round(max(score), 9) AS best, round(avg(score), 9) AS mean FROM m"))(lambda spark, sf_dir: metrics.scores(_scored(spark, sf_dir)))
@@ -389,8 +389,10 @@ def _(spark, sf_dir):
     return metrics.speedups(spark.createDataFrame(_RUNS, "graph string, n int, seed int, total_s double, baseline_s double"))
 
 
-query("metric_iterations", _golden([(0, len(P8.edges), len(P8.edges)), (1, len(P12.edges), len(P12.edges)), (2, 12, 12)], "pattern, edges, tiles"))(lambda spark, sf_dir: metrics.tiles(spark, [P8, P12, ring(12)], ["edge"]))
-query("metric_iterations_path4")(lambda spark, sf_dir: metrics.tiles(spark, [P8, P12, ring(12)], ["edge", "path4"]))
+#: Edges, and tiles of {edge} and of {edge, path4}, of the three patterns, as recorded once: a change of the tiling shows.
+_TILES = [(0, 7, 7, 5), (1, 11, 11, 7), (2, 12, 12, 4)]
+query("metric_iterations", _golden([(p, e, t) for p, e, t, _ in _TILES], "pattern, edges, tiles"))(lambda spark, sf_dir: metrics.tiles(spark, [P8, P12, ring(12)], ["edge"]))
+query("metric_iterations_path4", _golden([(p, e, t) for p, e, _, t in _TILES], "pattern, edges, tiles"))(lambda spark, sf_dir: metrics.tiles(spark, [P8, P12, ring(12)], ["edge", "path4"]))
 
 
 @query("metric_solutions", sqlgen.to_sql(ring(12), ctes("hh156"), True, what="count(*) AS mappings, CAST(count(*) / 24 AS BIGINT) AS subgraphs"))
@@ -462,7 +464,7 @@ def _(spark, sf_dir):
 text("proj_rename", "SELECT u AS v3, v AS v7 FROM edges", "hh156")
 text("proj_computed", "SELECT id, id % 40 AS col, (id - id % 40) / 40 AS row_at FROM ids", "sq1600", duck_body="SELECT id, id % 40 AS col, (id - id % 40) / 40 AS row_at FROM ids")
 text("proj_case", "SELECT id, CASE WHEN id % 2 = 0 THEN 3 ELSE 1 END AS shift FROM ids", "hh156")
-text("filter_loop", "SELECT l_partkey AS u, l_suppkey AS v FROM lineitem WHERE l_partkey <> l_suppkey AND l_partkey < 200")
+text("filter_loop", "SELECT l_partkey AS u, l_suppkey AS v FROM lineitem WHERE l_partkey <> l_suppkey")
 text("filter_distinct", "SELECT a.u AS v0, a.v AS v1, b.v AS v2 FROM edges a JOIN edges b ON a.v = b.u WHERE b.v NOT IN (a.u, a.v)", "hh156")
 text("filter_degree", "SELECT u AS id FROM edges GROUP BY u HAVING count(*) >= 3", "hh1990")
 text("filter_range", "SELECT p_partkey, p_size FROM part WHERE p_size BETWEEN 5 AND 15")
@@ -472,7 +474,7 @@ text("filter_null", "SELECT doc_id, lang FROM documents WHERE (nullif(lang, 'en'
 text("join_multi_key", "SELECT a.u, a.v, l_orderkey FROM edges a JOIN lineitem ON l_partkey = a.u AND l_suppkey = a.v", "hh156")
 text("join_self", "SELECT a.u AS c0, a.v AS c1, b.v AS c2 FROM edges a JOIN edges b ON a.v = b.u WHERE a.u <> b.v", "hh1990")
 text("join_theta", "SELECT a.u AS c0, a.v AS c1, b.v AS c2 FROM edges a JOIN edges b ON a.v = b.u AND a.u < b.v", "hh1990")
-text("join_nested_loop", "SELECT a.id AS a, b.id AS b FROM ids a JOIN ids b ON a.id < b.id WHERE a.id < 20 AND b.id < 20", "hh156")
+text("join_nested_loop", "SELECT a.id AS a, b.id AS b FROM ids a JOIN ids b ON a.id < b.id", "hh156")
 text("join_semi", "SELECT id FROM ids WHERE EXISTS (SELECT 1 FROM lineitem WHERE l_partkey = id AND l_quantity > 45)", "hh156")
 text("join_anti", "SELECT a.u AS c0, a.v AS c1, b.v AS c2 FROM edges a JOIN edges b ON a.v = b.u AND a.u <> b.v WHERE NOT EXISTS (SELECT 1 FROM edges x WHERE x.u = a.u AND x.v = b.v)", "copurchase")
 text("join_left", "SELECT id, p_brand FROM ids LEFT JOIN part ON p_partkey = id + 1950", "hh156")
@@ -512,7 +514,16 @@ query("agg_percentile_approx")(lambda spark, sf_dir: io.table(spark, sf_dir, "ev
 text("agg_filter", "SELECT user_id, count(*) FILTER (WHERE value > 50) AS high FROM events GROUP BY user_id")
 text("agg_having", "SELECT u FROM edges GROUP BY u HAVING count(*) = 3", "hh156")
 text("agg_bool", "SELECT event_type, bool_and(value >= 0) AS all_up, bool_or(value > 99) AS any_top FROM events GROUP BY event_type")
-query("agg_sort_fallback", "SELECT user_id, max(event_type) AS last_type, count(*) AS n FROM events GROUP BY user_id")(lambda spark, sf_dir: io.table(spark, sf_dir, "events").groupBy("user_id").agg(F.max("event_type").alias("last_type"), F.count("*").alias("n")))
+
+
+@query("agg_sort_fallback", "SELECT user_id, string_agg(DISTINCT event_type, ',' ORDER BY event_type) AS types, count(*) AS n FROM events GROUP BY user_id")
+def _(spark, sf_dir):
+    """An aggregation over hash maps that may hold four groups only, so that all others go by way of sorting and spilling."""
+    own = spark.newSession()
+    own.conf.set("spark.sql.objectHashAggregate.sortBased.fallbackThreshold", "4")
+    return io.table(own, sf_dir, "events").groupBy("user_id").agg(F.array_join(F.sort_array(F.collect_set("event_type")), ",").alias("types"), F.count("*").alias("n"))
+
+
 _W = "OVER (PARTITION BY user_id ORDER BY ts, event_id)"
 text("win_rank", f"SELECT event_id, row_number() {_W} AS rn, rank() OVER (PARTITION BY user_id ORDER BY event_type) AS rk, dense_rank() OVER (PARTITION BY user_id ORDER BY event_type) AS dr FROM events")
 text("win_distribution", f"SELECT event_id, ntile(4) {_W} AS band, round(percent_rank() {_W}, 9) AS pr, round(cume_dist() {_W}, 9) AS cd FROM events")
@@ -556,7 +567,10 @@ def _(spark, sf_dir):
     return semantics.as_struct(execute.match(graph(spark, sf_dir, "hh156"), path(3)), 3).select(F.col("mapping.v1").alias("middle"))
 
 
-text("fn_json", "SELECT event_id, length(props) AS n, substring(props, 1, 1) = '{' AS is_object FROM events")
+text(
+    "fn_json", "SELECT event_id, CAST(get_json_object(props, '$.k') AS INT) AS k, from_json(props, 'k INT').k + 1 AS next, to_json(named_struct('id', event_id, 'type', event_type)) AS made FROM events",
+    duck_body="SELECT event_id, CAST(json_extract_string(props, '$.k') AS INTEGER) AS k, CAST(json_extract_string(props, '$.k') AS INTEGER) + 1 AS next, CAST(json_object('id', event_id, 'type', event_type) AS VARCHAR) AS made FROM events",
+)
 query("fn_hash")(lambda spark, sf_dir: spark.createDataFrame([(graph(spark, sf_dir, "hh156").fingerprint(),)], "fingerprint string"))
 text("fn_null", "SELECT id, coalesce(p_brand, '-') AS brand, nullif(id % 2, 0) AS odd, p_brand IS NULL AS lone FROM ids LEFT JOIN part ON p_partkey = id + 1950", "hh156")
 
@@ -568,9 +582,9 @@ def _(spark, sf_dir):
     return two.where(fn.all_distinct(F.array("u", "m", "v"))).agg(F.count("*").alias("n"))
 
 
-@query("udaf_fidelity", "SELECT l_partkey, round(product(1 - l_tax / 10), 9) AS q FROM lineitem WHERE l_partkey < 50 GROUP BY l_partkey")
+@query("udaf_fidelity", "SELECT l_partkey, round(product(1 - l_tax / 10), 9) AS q FROM lineitem GROUP BY l_partkey")
 def _(spark, sf_dir):
-    return io.table(spark, sf_dir, "lineitem").where("l_partkey < 50").groupBy("l_partkey").agg(F.round(fn.fidelity(1 - F.col("l_tax") / 10), 9).alias("q"))
+    return io.table(spark, sf_dir, "lineitem").groupBy("l_partkey").agg(F.round(fn.fidelity(1 - F.col("l_tax") / 10), 9).alias("q"))
 
 
 @query("udtf_backtrack", f"WITH {ctes('theta7')}, {sqlgen.steps(path(4), False)[0]} SELECT concat_ws('-', v0, v1, v2, v3) AS mapping FROM s3")
@@ -632,8 +646,13 @@ def _(spark, sf_dir):
 
 _HOUR = "SELECT time_bucket(INTERVAL '1 hour', ts) AS start, time_bucket(INTERVAL '1 hour', ts) + INTERVAL '1 hour' AS \"end\", count(*) AS n FROM events GROUP BY 1, 2 HAVING time_bucket(INTERVAL '1 hour', ts) + INTERVAL '1 hour' <= (SELECT max(ts) - INTERVAL '1 hour' FROM events)"
 query("stream_tumbling", _HOUR)(lambda spark, sf_dir: streaming.drain(streaming.windowed(streaming.events(spark, sf_dir), "tumbling")))
-query("stream_sliding")(lambda spark, sf_dir: streaming.drain(streaming.windowed(streaming.events(spark, sf_dir), "sliding")))
-query("stream_session")(lambda spark, sf_dir: streaming.drain(streaming.windowed(streaming.events(spark, sf_dir), "session", "2 minutes")))
+_SLIDES = "SELECT s AS start, s + INTERVAL '1 hour' AS \"end\", count(*) AS n FROM (SELECT unnest([time_bucket(INTERVAL '30 minutes', ts), time_bucket(INTERVAL '30 minutes', ts) - INTERVAL '30 minutes']) AS s FROM events) w GROUP BY s HAVING s + INTERVAL '1 hour' <= (SELECT max(ts) - INTERVAL '1 hour' FROM events)"
+_SESSIONS = (
+    "SELECT min(ts) AS start, max(ts) + INTERVAL '2 minutes' AS \"end\", user_id, count(*) AS n FROM (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM "
+    "(SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) <= INTERVAL '2 minutes' THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s HAVING max(ts) + INTERVAL '2 minutes' <= (SELECT max(ts) - INTERVAL '1 hour' FROM events)"
+)
+query("stream_sliding", _SLIDES)(lambda spark, sf_dir: streaming.drain(streaming.windowed(streaming.events(spark, sf_dir), "sliding")))
+query("stream_session", _SESSIONS)(lambda spark, sf_dir: streaming.drain(streaming.windowed(streaming.events(spark, sf_dir), "session", "2 minutes")))
 query("stream_dedup", "SELECT DISTINCT event_id, user_id FROM events")(lambda spark, sf_dir: streaming.drain(streaming.dedup(streaming.events(spark, sf_dir), ["event_id"], "400 days").select("event_id", "user_id")))
 query("stream_stream_join", _RANGE.format("'600' SECOND").replace("SELECT a.event_id", "SELECT a.user_id, a.event_id"))(lambda spark, sf_dir: streaming.drain(streaming.interval_join(streaming.events(spark, sf_dir), streaming.events(spark, sf_dir), 600)))
 query("join_interval_stream", SQL["stream_stream_join"])(QUERIES["stream_stream_join"])

@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from graphstitch.sources.graph import DataGraph
 
 SUPPLIER_BASE, LINK_BASE, SOURCE_BASE = 10_000_000, 1_000_000, 2_000_000_000
-#: Bytes of vectors that every task may hold for the exact nearest-neighbour graph; beyond, blocks are joined.
-KNN_BYTES = 256 << 20
+#: Vectors of a block of the exact nearest-neighbour graph.
+KNN_BLOCK = 4096
 
 
 def _t(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -48,29 +48,30 @@ def pagelinks(spark: SparkSession, sf_dir: str) -> DataGraph:
     return DataGraph.from_edges(links.join(book, links["link"] == book["key"]).select("u", (F.col("id") + LINK_BASE).alias("v")))
 
 
-def knn(spark: SparkSession, sf_dir: str, k: int = 3) -> DataGraph:
-    """Each vector with its k nearest by cosine, symmetrised; exact. Every task meets all vectors, below a checked size."""
+def knn(spark: SparkSession, sf_dir: str, k: int = 3, block: int = KNN_BLOCK) -> DataGraph:
+    """Each vector with its k nearest by cosine, symmetrised; exact. Vectors are dealt to blocks; a task holds two of them, and
+    gives the k nearest in the one for each vector of the other, so nothing grows with the table but the number of tasks."""
     e = _t(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("x"))
-    rows, width = e.agg(F.count("*"), F.max(F.size("x"))).first()
-    if (rows or 0) * (width or 0) * 8 > KNN_BYTES:
-        raise ValueError("too many vectors to hold in every task; use a blocked or approximate index")
-    held = e.orderBy("vec_id").collect()
-    ids = np.array([r["vec_id"] for r in held])
-    m = np.array([r["x"] for r in held]).reshape(len(held), -1)
-    m = m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
-    shared = spark.sparkContext.broadcast((ids, m))
-
-    def run(batches):
-        ids, m = shared.value
-        for batch in batches:
-            mine = np.array(batch.column("vec_id").to_pylist(), np.int64)
-            x = np.array(batch.column("x").to_pylist(), float).reshape(len(mine), -1)
-            cos = np.round((x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)) @ m.T, 9)
-            cos[mine[:, None] == ids] = -2
-            near = np.argsort(-cos, axis=1, kind="stable")[:, :k]
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(mine, near.shape[1])), pa.array(ids[near].ravel())], ["u", "v"])
-
-    return DataGraph.from_edges(e.mapInArrow(run, "u long, v long"))
+    blocks = max(1, -(-e.count() // block))
+    e = e.withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(blocks))).withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    # the first of a pair asks, the second answers
+    each = e.select("vec_id", "x", F.col("b").alias("i"), F.col("o").alias("j"), F.lit(True).alias("asks")).unionAll(e.select("vec_id", "x", F.col("o").alias("i"), F.col("b").alias("j"), F.lit(False).alias("asks")))
+
+    def nearest(table: pa.Table) -> pa.Table:
+        asks = table.column("asks").to_numpy().astype(bool)
+        ids = table.column("vec_id").to_numpy()
+        x = np.array(table.column("x").to_pylist(), float)
+        x = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
+        order = np.argsort(ids[~asks], kind="stable")
+        u, v, m = ids[asks], ids[~asks][order], x[~asks][order]
+        cos = np.round(x[asks] @ m.T, 9)
+        cos[u[:, None] == v] = -2
+        near = np.argsort(-cos, axis=1, kind="stable")[:, :k]
+        return pa.table({"u": np.repeat(u, near.shape[1]), "v": v[near].ravel(), "cos": np.take_along_axis(cos, near, 1).ravel()})
+
+    found = each.groupBy("i", "j").applyInArrow(nearest, "u long, v long, cos double").where("cos > -2")
+    w = Window.partitionBy("u").orderBy(F.desc("cos"), "v")
+    return DataGraph.from_edges(found.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k).select("u", "v"))
 
 
 def coactive(spark: SparkSession, sf_dir: str, seconds: int = 60) -> DataGraph:

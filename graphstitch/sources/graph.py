@@ -2,24 +2,36 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 from functools import cached_property
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphstitch.plans.backtrack import Adjacency, adjacency
-from graphstitch.session import cut
+from graphstitch.session import cut, forget
 
 #: Edge rows up to which a graph may be collected for a driver-side baseline.
 LOCAL_EDGES = 2_000_000
 
 
+def numbered(df: DataFrame, by: list[str], name: str) -> DataFrame:
+    """Rows with their places 0, 1, ... in the order of `by`: positions inside range partitions, plus the rows of the partitions
+    before. Nothing is sorted into one task; the window over all holds a row per partition."""
+    ranged = cut(df.repartitionByRange(*by).select(*df.columns, F.spark_partition_id().alias("_p")))
+    inside = F.row_number().over(Window.partitionBy("_p").orderBy(*by)) - 1
+    sizes = ranged.groupBy("_p").count()
+    starts = sizes.select("_p", (F.sum("count").over(Window.orderBy("_p")) - F.col("count")).alias("_start"))
+    return ranged.withColumn("_i", inside).join(F.broadcast(starts), "_p").select(*df.columns, (F.col("_i") + F.col("_start")).cast("long").alias(name))
+
+
 @dataclass(frozen=True)
 class DataGraph:
     vertices: DataFrame
     edges: DataFrame
     pinned: bool = False
+    #: Motif catalogs of a pinned graph.
+    catalogs: dict = field(default_factory=dict, compare=False, repr=False)
 
     @classmethod
     def from_edges(cls, df: DataFrame, u: str = "u", v: str = "v", directed: bool = False, symmetrize: bool = True, vertices: DataFrame | None = None) -> DataGraph:
@@ -33,20 +45,17 @@ class DataGraph:
 
     @staticmethod
     def encode_ids(df: DataFrame, u: str, v: str) -> tuple[DataFrame, DataFrame]:
-        """Any ids to dense longs: (edges u, v; dictionary key, id). Numbers follow the sorted keys: positions inside range
-        partitions, plus the rows of the partitions before, so nothing is sorted into one task."""
+        """Any ids to dense longs: (edges u, v; dictionary key, id). Numbers follow the sorted keys."""
         keys = df.select(F.col(u).cast("string").alias("key")).union(df.select(F.col(v).cast("string").alias("key"))).where("key is not null").distinct()
-        ranged = cut(keys.repartitionByRange("key").sortWithinPartitions("key").select("key", F.spark_partition_id().alias("p")))
-        from pyspark.sql import Window
-
-        inside = F.row_number().over(Window.partitionBy("p").orderBy("key")) - 1
-        sizes = ranged.groupBy("p").count()
-        starts = sizes.select("p", (F.sum("count").over(Window.orderBy("p")) - F.col("count")).alias("start"))
-        book = ranged.withColumn("i", inside).join(F.broadcast(starts), "p").select("key", (F.col("i") + F.col("start")).cast("long").alias("id"))
+        book = numbered(keys, ["key"], "id")
         a, b = book.select(F.col("key").alias("ka"), F.col("id").alias("u")), book.select(F.col("key").alias("kb"), F.col("id").alias("v"))
         e = df.select(F.col(u).cast("string").alias("ka"), F.col(v).cast("string").alias("kb"))
         return e.join(a, "ka").join(b, "kb").select("u", "v"), book
 
+    def numbered_edges(self) -> DataFrame:
+        """u < v, and k: the place of the edge in sorted order."""
+        return numbered(self.edges.where("u < v").select("u", "v"), ["u", "v"], "k")
+
     @cached_property
     def degrees(self) -> DataFrame:
         return self.edges.groupBy("u").agg(F.count("*").alias("degree"))
@@ -65,6 +74,14 @@ class DataGraph:
         out.vertices.count(), out.edges.count()
         return out
 
+    def unpin(self) -> None:
+        """Lets go of what pin() and the catalogs hold."""
+        for c in self.catalogs.values():
+            c.unpersist()
+        self.catalogs.clear()
+        for t in (self.vertices, self.edges, self.adjacency):
+            t.unpersist()
+
     def where_degree(self, least: int) -> DataFrame:
         return self.degrees.where(F.col("degree") >= least).select(F.col("u").alias("id"))
 
@@ -81,7 +98,9 @@ class DataGraph:
             near = near.groupBy("id").agg(F.min("component").alias("component"))
             own = labels.select(F.col("id").alias("_i"), F.col("component").alias("_c"))
             new = cut(near.join(own, near["component"] == own["_i"]).select("id", F.least("component", "_c").alias("component")))
-            if new.join(own, (new["id"] == own["_i"]) & (new["component"] != own["_c"])).isEmpty():
+            done = new.join(own, (new["id"] == own["_i"]) & (new["component"] != own["_c"])).isEmpty()
+            forget(labels)
+            if done:
                 return new
             labels = new
 

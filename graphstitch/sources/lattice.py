@@ -53,6 +53,15 @@ class HeavyHex:
                 out += [(top, bridge), (top + self.length, bridge)]
         return out
 
+    def snake(self) -> list[int]:
+        """Along the first chain, over its last bridge, back along the second, and so on."""
+        per, out = self.length // 4, []
+        for r in range(self.rows):
+            columns = range(1 if r else 0, self.length) if r % 2 == 0 else range(self.length - 1, 0, -1)
+            out += [r * self.length + c for c in columns]
+            out.append(self.rows * self.length + r * per + (per - 1 if r % 2 == 0 else 0))
+        return out[:-1]
+
     def half_edges(self, ids: DataFrame) -> DataFrame:
         base, length, per = self.rows * self.length, self.length, self.length // 4
         i = F.col("id")
