@@ -4,7 +4,8 @@ Headers (page id and payload digest) are shuffled by digest; of equal payloads t
 response, and every other record revisits it. Archives are then written with fresh headers: full HTTP responses, and
 revisit records that hold HTTP headers only and name the response they refer to. `read_archives` parses them back.
 
-Archives are the part files of Spark's text writer (gzip), of `ARCHIVE_RECORDS` records at most, in the shared folder.
+Archives are the part files of Spark's text writer (gzip), of `ARCHIVE_RECORDS` records at most, in the shared folder. They are
+read as a stream: a task holds a batch of pieces and the record it is in, however long the archive is.
 The counts of equal digests combine before their shuffle; large groups of equal pages meet only in a join that adaptive
 execution can split.
 
@@ -15,10 +16,13 @@ urls give an empty target; an empty table gives no records; other columns are ig
 
 from __future__ import annotations
 
+import base64
 import hashlib
 import uuid
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -77,19 +81,23 @@ def write_archives(pages: DataFrame, path: str, least_bytes: int = LEAST_BYTES,
     records(pages, least_bytes).write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", archive_records).text(path)
 
 
-def parse(raw: bytes):
-    """(headers, block) of every record of an archive; lengths are checked."""
+def parse(raw: bytes, partial: bool = False):
+    """(headers, block, end) of every record of an archive; lengths are checked. partial: stops before a record that is not
+    whole yet, instead of refusing it."""
     at = 0
     while at < len(raw):
-        split = raw.index(b"\r\n\r\n", at)
-        lines = raw[at:split].decode().split("\r\n")
-        if not lines[0].startswith("WARC/"):
+        split = raw.find(b"\r\n\r\n", at)
+        if not raw.startswith(b"WARC/", at) or split < 0 and not partial:
             raise ValueError(f"no WARC record at byte {at}")
-        headers = dict(x.split(": ", 1) if ": " in x else (x.rstrip(":"), "") for x in lines[1:])
+        if split < 0:
+            return
+        headers = dict(x.split(": ", 1) if ": " in x else (x.rstrip(":"), "") for x in raw[at:split].decode().split("\r\n")[1:])
         end = split + 4 + int(headers["Content-Length"])
+        if partial and len(raw) < end + 4:
+            return
         if raw[end : end + 4] != b"\r\n\r\n":
             raise ValueError(f"record of byte {at} is cut short")
-        yield headers, raw[split + 4 : end]
+        yield headers, raw[split + 4 : end], end + 4
         at = end + 4
 
 
@@ -98,33 +106,47 @@ def _page(uri: str) -> int | None:
     return None if number == "null" else int(number)
 
 
+def _row(headers: dict, block: bytes, archive: str) -> tuple:
+    http, _, payload = block.partition(b"\r\n\r\n")
+    size = int(http.rpartition(b"Content-Length: ")[2])
+    digest = headers["WARC-Payload-Digest"].removeprefix("sha1:")
+    if headers["WARC-Type"] == "response":
+        digest, said, size = base64.b32encode(hashlib.sha1(payload).digest()).decode(), digest, len(payload)
+        if digest != said:
+            raise ValueError(f"payload of {headers['WARC-Record-ID']} does not match its digest")
+    refers = headers.get("WARC-Refers-To")
+    return _page(headers["WARC-Record-ID"]), size, digest, headers["WARC-Type"], _page(refers) if refers else None, archive
+
+
 def read_archives(spark: SparkSession, path: str) -> DataFrame:
     """Every record: page_id, payload_bytes, payload_digest, record_type, refers_to, archive. The digest of each stored
-    payload is computed anew and compared with its header."""
+    payload is computed anew and compared with its header. A compressed file is one split, read from its start to its end:
+    its pieces between double line ends are put together again and parsed as they come."""
 
     def run(batches):
-        import base64
-        import zlib
-
+        kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string()]
+        rest, archive = b"", None
         for batch in batches:
-            for name, content in zip(batch.column("path").to_pylist(), batch.column("content")):
-                rows = []
-                for headers, block in parse(zlib.decompress(content.as_py(), 47)):
-                    http, _, payload = block.partition(b"\r\n\r\n")
-                    size = int(http.rpartition(b"Content-Length: ")[2])
-                    digest = headers["WARC-Payload-Digest"].removeprefix("sha1:")
-                    if headers["WARC-Type"] == "response":
-                        digest, said, size = base64.b32encode(hashlib.sha1(payload).digest()).decode(), digest, len(payload)
-                        if digest != said:
-                            raise ValueError(f"payload of {headers['WARC-Record-ID']} does not match its digest")
-                    refers = headers.get("WARC-Refers-To")
-                    rows.append((_page(headers["WARC-Record-ID"]), size, digest, headers["WARC-Type"], _page(refers) if refers else None, name))
-                if rows:
-                    kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string()]
-                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "archive"])
-
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.gz").load(path).select("path", "content")
-    return files.mapInArrow(run, RECORD)
+            rows = []
+            names = batch.column("archive")
+            cuts = [0, *(i + 1 for i in np.flatnonzero(pc.not_equal(names[1:], names[:-1]).to_numpy(zero_copy_only=False)).tolist()), len(batch)] if len(batch) else []
+            for a, b in zip(cuts[:-1], cuts[1:]):
+                if archive != names[a].as_py():
+                    if rest:
+                        raise ValueError(f"the last record of {archive} is cut short")
+                    archive = names[a].as_py()
+                raw = b"".join([rest, *(x for piece in batch.column("value")[a:b].cast(pa.binary()).to_pylist() for x in (piece, b"\r\n\r\n"))])
+                done = 0
+                for headers, block, done in parse(raw, partial=True):
+                    rows.append(_row(headers, block, archive))
+                rest = raw[done:]
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "archive"])
+        if rest:
+            raise ValueError(f"the last record of {archive} is cut short")
+
+    files = spark.read.option("lineSep", END).option("pathGlobFilter", "*.gz").text(path)
+    return files.select("value", F.col("_metadata.file_path").alias("archive")).mapInArrow(run, RECORD)
 
 
 def round_trip(pages: DataFrame, least_bytes: int = LEAST_BYTES) -> DataFrame:
