@@ -6,11 +6,12 @@ joined; at each hit the words are compared, up to eight to either side, and a hi
 The eight are enough: every 13-word window inside a shared span holds a kept fingerprint of its own.
 Items of fewer words are one window each; they are found by their first word and compared whole.
 
-Scale: one scan and one exchange of small rows. The items' fingerprints are broadcast below a checked size and shuffled
-beyond it. Hash and place are packed in one number (33 + 30 bits); a chance equality is refused by the comparison.
+Scale: one scan and one exchange of small rows. The items' fingerprints are broadcast below a checked size. Beyond it, keys
+and places alone are exchanged, and words are fetched for the documents that met an item; the row that stands for a document
+itself takes no part in that join. Hash and place are packed in one number (33 + 30 bits); a chance equality is refused by the comparison.
 
 Defined results: null and blank texts have no words and are clean; blank items have no window; items with a null id count
-for hits but not in n_items; items repeated under one id count once; repeated documents are each reported; an empty
+for hits but not in n_items; rows of one doc_id, or of none, are told apart by a 64-bit hash of their text; items repeated under one id count once; repeated documents are each reported; an empty
 benchmark leaves all documents clean; further columns are ignored.
 """
 
@@ -62,7 +63,7 @@ def _reach(sign: int, origin: int):
 
 
 def _tokenised(docs: DataFrame) -> DataFrame:
-    return docs.select("doc_id", F.hash("text").alias("th"), term_words(F.col("text")).alias("w"))
+    return docs.select("doc_id", F.xxhash64("text").alias("th"), term_words(F.col("text")).alias("w"))
 
 
 def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
@@ -75,32 +76,40 @@ def hits(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST
     size = long.agg(F.sum(F.octet_length(F.array_join("iw", " ")) + 64)).union(short.agg(F.sum(F.octet_length(F.array_join("iw", " ")) + 64))).collect()
     small = sum(r[0] or 0 for r in size) <= broadcast_bytes
     hint = F.broadcast if small else (lambda x: x)
-    # Each document also carries one fingerprint, -1, that meets one row of no item: so it comes through the join.
-    spark = docs.sparkSession
-    self_row = spark.range(1).select(F.lit(None).cast(items.schema["item_id"].dataType).alias("item_id"), F.lit(None).cast("array<string>").alias("iw"), F.lit(-1).cast("long").alias("key"), F.lit(0).alias("iat"))
     words = _tokenised(docs)
     # of the text, only the words around a fingerprint go on: cw, where the fingerprint starts at c. A long text may hold
     # thousands of hits, and each would carry all of it.
     lead = F.least(F.col("at"), F.lit(KEEP - 1))
     around = F.when(F.col("key") != -1, F.slice("w", F.col("at") - lead + 1, F.lit(2 * (KEEP - 1) + GRAM)))
-    fps = fingerprints(words, "w", "doc_id", "th").select("doc_id", "th", "n", "key", "at", lead.alias("c"), around.alias("cw"))
-    met = fps.join(hint(long.unionByName(self_row)), "key")
+    near = [F.col("doc_id"), F.col("th"), F.col("n"), F.col("key"), F.col("at"), lead.alias("c"), around.alias("cw")]
+    fps = fingerprints(words, "w", "doc_id", "th")
+    itself = F.col("key") == -1
+    if small:
+        # each document also carries one fingerprint, -1, that meets one row of no item: so it comes through the join
+        self_row = docs.sparkSession.range(1).select(F.lit(None).cast(items.schema["item_id"].dataType).alias("item_id"), F.lit(None).cast("array<string>").alias("iw"), F.lit(-1).cast("long").alias("key"), F.lit(0).alias("iat"))
+        met = fps.select(*near).join(F.broadcast(long.unionByName(self_row)), "key")
+    else:
+        keys = fps.where(~itself).select("doc_id", "th", "key", "at").distinct().join(long.select("key").distinct(), "key", "left_semi")
+        keys = keys.select(F.col("doc_id").alias("_d"), F.col("th").alias("_t"), "key", "at")
+        texts = words.select("doc_id", "th", "w", F.size("w").alias("n")).dropDuplicates(["doc_id", "th"])
+        met = texts.join(keys, texts["doc_id"].eqNullSafe(keys["_d"]) & (texts["th"] == keys["_t"])).select(*near).join(long, "key")
+        own = words.select("doc_id", "th", F.size("w").alias("n"), F.lit(-1).cast("long").alias("key"), F.lit(0).alias("at"), F.lit(0).alias("c"), F.lit(None).cast("array<string>").alias("cw"))
+        met = met.unionByName(own, allowMissingColumns=True)
     core = F.slice("cw", F.col("c") + 1, F.lit(GRAM)) == F.slice("iw", F.col("iat") + 1, F.lit(GRAM))
     met = met.where((F.col("key") == -1) | core)
     met = met.withColumns({"l": F.when(F.col("key") == -1, 0).otherwise(_reach(-1, -1)), "r": F.when(F.col("key") == -1, 0).otherwise(_reach(1, GRAM))})
     met = met.where((F.col("key") == -1) | (F.col("l") + F.col("r") + GRAM >= SPAN))
-    itself = F.col("key") == -1
     out = met.select(
         "doc_id", "th", F.col("n").cast("long").alias("n_words"), "item_id",
         F.when(~itself, F.col("at") - F.col("l")).alias("a"), F.when(~itself, F.col("at") + GRAM + F.col("r")).alias("b"),
     )
     if short.isEmpty():
         return out
-    each = words.select("doc_id", "th", "w", F.posexplode("w").alias("at", "key")).withColumnRenamed("key", "word")
-    met = each.join(hint(short.withColumnRenamed("key", "word").withColumn("iat", F.lit(0))), "word")
-    whole = F.slice("w", F.col("at") + 1, F.size("iw")) == F.col("iw")
-    few = met.where(whole).select("doc_id", "th", F.size("w").cast("long").alias("n_words"), "item_id", F.col("at").alias("a"), (F.col("at") + F.size("iw")).alias("b"))
-    return out.unionByName(few)
+    # a word carries the few words behind it that an item may have
+    starts = words.select("doc_id", "th", "w", F.size("w").cast("long").alias("n_words"), F.explode(F.sequence(F.lit(0), F.size("w") - 1)).alias("at")).where("n_words > 0")
+    each = starts.select("doc_id", "th", "n_words", "at", F.get("w", F.col("at")).alias("key"), F.slice("w", F.col("at") + 1, F.lit(SPAN - 1)).alias("cw"))
+    met = each.join(hint(short), "key").where(F.slice("cw", F.lit(1), F.size("iw")) == F.col("iw"))
+    return out.unionByName(met.select("doc_id", "th", "n_words", "item_id", F.col("at").alias("a"), (F.col("at") + F.size("iw")).alias("b")))
 
 
 def assess(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
@@ -126,4 +135,4 @@ def assess(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCA
 def keep_clean(docs: DataFrame, benchmark: DataFrame, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """The documents that are not contaminated, with all their columns."""
     bad = assess(docs, benchmark, broadcast_bytes).where("contaminated").select(F.col("doc_id").alias("_d"), F.col("th").alias("_t")).distinct()
-    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["_d"]) & (F.hash(docs["text"]) == bad["_t"]), "left_anti")
+    return docs.join(bad, docs["doc_id"].eqNullSafe(bad["_d"]) & (F.xxhash64(docs["text"]) == bad["_t"]), "left_anti")
