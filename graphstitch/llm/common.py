@@ -5,6 +5,8 @@ from __future__ import annotations
 import ctypes
 import functools
 import os
+import tempfile
+import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -36,24 +38,41 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder for cut lineage and working tables: the session's, or one of our own where it is unset."""
+    """The shared folder for cut lineage and working tables: the session's. Only where none is set and Spark runs on this
+    machine alone, one of our own; several machines would not see each other's files there."""
     path = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    held = spark.sparkContext._jsc.sc().getCheckpointDir()
+    if not path and not held.isEmpty():
+        path = held.get()
     if not path:
-        path = os.path.join(os.path.abspath(spark.conf.get("spark.sql.warehouse.dir").replace("file:", "")), "..", "tmp-checkpoints")
-        path = "file://" + os.path.normpath("/tmp/checkpoints" if not os.access(os.path.dirname(path), os.W_OK) else "/tmp/checkpoints")
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        path = "file://" + os.path.join(tempfile.gettempdir(), "graphstitch-checkpoints")
+    if held.isEmpty():
         spark.sparkContext.setCheckpointDir(path)
     return path
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Materialise to the shared checkpoint folder; survives lost executors."""
-    ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Materialised as a table in the shared folder, which survives lost executors. Unlike a checkpoint it brings along no
+    constraints of the plan before, which double with each round of a loop, and its size is known to the planner."""
+    path = f"{ensure_checkpoint_dir(df.sparkSession).rstrip('/')}/cut-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._cut_path = path
+    return out
+
+
+def forget(*tables: DataFrame) -> None:
+    """Deletes tables that cut() made and that nothing will read again."""
+    for t in tables:
+        jvm, session = t.sparkSession._jvm, t.sparkSession._jsparkSession
+        path = jvm.org.apache.hadoop.fs.Path(t._cut_path)
+        path.getFileSystem(session.sessionState().newHadoopConf()).delete(path, True)
 
 
 #: Rows of a few numbers each that may be broadcast.
-BROADCAST_ROWS = 1_000_000
+BROADCAST_ROWS = 200_000
 
 
 def small(df: DataFrame, most: int | None = None) -> DataFrame:

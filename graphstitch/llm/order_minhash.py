@@ -6,9 +6,10 @@ fewer bins (`TIERS`). A text of up to `SHORT` words is named by all its runs of
 whole text below): texts of edit similarity >= `SIMILARITY` always share such a run, so short texts never miss. Equal texts
 are merged first; distinct texts that share a name are a bucket.
 
-Every pair of a bucket is settled, in three rounds of links and components: members meet the first one; then, where a
-bucket still holds several components, each member meets the likeliest one of another component; then all pairs of
-different components that are left. Before texts are moved a pair must pass a bound that no link breaks: counts of words in
+Every pair of a bucket is settled, in four rounds of links and components: members meet the first one of their largest
+bucket, then those of their other buckets that are still apart; then, in one bucket for each two components that still share
+some, each member meets the likeliest one of another component; then all pairs of different components that are left in any.
+Before texts are aligned a pair must pass a bound that no link breaks: counts of words in
 `BINS` bins differ by one per edit at most. Pairs are aligned word by word inside a band and linked when 1 - distance /
 longer length >= `SIMILARITY`. Classes are the connected components of the links, found by distributed label propagation.
 
@@ -39,6 +40,8 @@ GRAM, SIMILARITY = 5, 0.8
 TIERS = [(240, 1, 80), (120, 2, 40), (60, 6, 20), (0, 32, 5)]
 #: Texts of LONG words on have sketches, texts up to SHORT words all their runs; LONG <= 0.8 * (SHORT + 1).
 LONG, SHORT, BINS, BLOCK = 25, 30, 256, 1024
+#: Links between components that one task may join.
+FEW_LINKS = 20_000
 
 
 def labelled_grams(x: np.ndarray, first: np.ndarray, k: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
@@ -160,15 +163,6 @@ def room_between(counts_a, counts_b, many_a, many_b) -> np.ndarray:
     return ((1 - SIMILARITY) * longest + 1e-9).astype(np.int64) - np.maximum(apart, np.abs(many_a - many_b))
 
 
-@tidy
-def _first(batches):
-    """Pairs a, b that pass the bound."""
-    for batch in batches:
-        ma, mb = (batch.column(c).to_numpy() for c in ("ma", "mb"))
-        good = room_between(_table(batch.column("ca")), _table(batch.column("cb")), ma, mb) >= 0
-        yield batch.select(["a", "b"]).filter(pa.array(good))
-
-
 def _across(every: bool):
     """Over rows sorted by bucket and block: pairs of different components that pass the bound, all of them or for each
     member the one with most room."""
@@ -176,7 +170,8 @@ def _across(every: bool):
     def settle(h, label, many, own, counts, i, j, out):
         rows, cols = (np.flatnonzero(own == x) for x in (i, j))
         for x in rows:
-            other = cols[(label[cols] != label[x]) & ((h[cols] > h[x]) if every and i == j else True)]
+            longest = np.maximum(many[cols], many[x])
+            other = cols[(label[cols] != label[x]) & (np.abs(many[cols] - many[x]) <= (1 - SIMILARITY) * longest + 1e-9) & ((h[cols] > h[x]) if every and i == j else True)]
             if len(other):
                 room = room_between(counts[x], counts[other], many[x], many[other])
                 near = other[room >= 0] if every else other[[room.argmax()]] if room.max() >= 0 else ()
@@ -277,10 +272,13 @@ def alike(a: list, b: list, similarity: float = SIMILARITY) -> bool:
 
 @tidy
 def _verify(batches):
+    """Pairs a, b that pass the bound of the word counts, and then the alignment."""
     kept: tuple = (None, None)
     for batch in (b.slice(x, y - x) for b in batches for x, y in slices(b.column("ta"), 1 << 20)):
+        ma, mb = (batch.column(c).to_numpy() for c in ("ma", "mb"))
+        good = room_between(_table(batch.column("ca")), _table(batch.column("cb")), ma, mb) >= 0
         out = []
-        for a, b, ta, tb in zip(*(batch.column(c).to_pylist() for c in ("a", "b", "ta", "tb"))):
+        for a, b, ta, tb in zip(*(batch.column(c).filter(pa.array(good)).to_pylist() for c in ("a", "b", "ta", "tb"))):
             if kept[0] != b:
                 kept = (b, tb.encode().split())
             if alike(ta.encode().split(), kept[1]):
@@ -289,9 +287,28 @@ def _verify(batches):
         yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
 
-def components(links: DataFrame) -> DataFrame:
-    """links: a, b. Returns node, label: the least node of each connected component. Each round takes the least label
-    around and then the label's own label; rounds end when nothing changes."""
+@tidy
+def _union(batches):
+    """Node and least node of its component, for a bounded number of links."""
+    up: dict[int, int] = {}
+
+    def root(x):
+        while up.setdefault(x, x) != x:
+            up[x] = x = up[up[x]]
+        return x
+
+    for batch in batches:
+        for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist()):
+            a, b = root(a), root(b)
+            up[max(a, b)] = min(a, b)
+    yield pa.RecordBatch.from_arrays([pa.array(list(up), pa.int64()), pa.array([root(x) for x in list(up)], pa.int64())], ["node", "label"])
+
+
+def components(links: DataFrame, few: int = FEW_LINKS) -> DataFrame:
+    """links: a, b. Returns node, label: the least node of each connected component. Up to `few` links, by their count, go to
+    one task; beyond, each round takes the least label around and then the label's own label; rounds end when nothing changes."""
+    if links.count() <= few:
+        return common.cut(links.repartition(1).mapInArrow(_union, "node long, label long"))
     both = common.cut(links.select("a", "b").union(links.select("b", "a")).distinct())
     labels = common.cut(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.first("a")).alias("label")))
     while True:
@@ -301,12 +318,27 @@ def components(links: DataFrame) -> DataFrame:
         ahead = near.join(own, near["label"] == own["_n"], "left").select("node", F.least("label", F.coalesce("_l", "label")).alias("label"))
         new = common.cut(ahead)
         old = labels.select(F.col("node").alias("_n"), F.col("label").alias("_l"))
-        if new.join(old, (new["node"] == old["_n"]) & (new["label"] != old["_l"])).isEmpty():
+        done = new.join(old, (new["node"] == old["_n"]) & (new["label"] != old["_l"])).isEmpty()
+        common.forget(labels)
+        if done:
+            common.forget(both)
             return new
         labels = new
 
 
-def classes(docs: DataFrame) -> DataFrame:
+def joined(comp: DataFrame, links: DataFrame) -> DataFrame:
+    """Components after further links between them: only the labels are joined, and the old ones renamed."""
+    named = links.join(common.small(comp).toDF("a", "_a"), "a", "left").join(common.small(comp).toDF("b", "_b"), "b", "left")
+    more = common.cut(named.select("a", "b", F.coalesce("_a", "a").alias("la"), F.coalesce("_b", "b").alias("lb")))
+    up = components(more.select(F.col("la").alias("a"), F.col("lb").alias("b")).where("a <> b").distinct())
+    nodes = comp.union(more.select("a", "la")).union(more.select("b", "lb")).distinct()
+    out = nodes.join(common.small(up).toDF("label", "_up"), "label", "left").select("node", F.coalesce("_up", "label").alias("label"))
+    out = common.cut(out)
+    common.forget(comp, more, up)
+    return out
+
+
+def classes(docs: DataFrame, few: int = FEW_LINKS) -> DataFrame:
     """Per distinct text: h (its hash), label (of its class), class_id, members, links; class_id is the least doc_id."""
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("h", F.xxhash64("text"))
     sk = texts.mapInArrow(_sketch, "doc_id long, h long, many long, sk array<long>, counts binary")
@@ -318,37 +350,52 @@ def classes(docs: DataFrame) -> DataFrame:
     # most buckets are of two and need no second look at the names; members of the others are fetched
     several = buckets.where("n > 2").select("s", "lo", "n")
     rows = common.cut(rows.join(common.small(several), "s").select("s", "h", "lo", "n"))
-    met = rows.where("h <> lo").select(F.col("h").alias("a"), F.col("lo").alias("b")).union(buckets.where("n = 2").select("hi", "lo")).distinct()
-    size = distinct.select("h", "many", "counts")
-    met = met.join(size.toDF("a", "ma", "ca"), "a").join(size.toDF("b", "mb", "cb"), "b")
-    near = common.cut(met.mapInArrow(_first, "a long, b long"))
-    wanted = near.select("a").union(near.select("b")).union(rows.select("h")).toDF("h").distinct()
-    wanted = common.cut(wanted.join(distinct.select("h", "rep"), "h").select(F.col("h").alias("_h"), "rep"))
-    held = texts.join(common.small(wanted), (texts["h"] == wanted["_h"]) & texts["doc_id"].eqNullSafe(wanted["rep"])).select("h", "text").dropDuplicates(["h"])
-    held = common.cut(held)
+    met = rows.where("h <> lo").select("h", "lo", "n").union(buckets.where("n = 2").select("hi", "lo", "n"))
+    met = common.cut(met.groupBy("h", "lo").agg(F.max("n").alias("n")))
+    wanted = met.select("h").union(met.select("lo")).distinct()
+    wanted = common.cut(wanted.join(distinct.select("h", "rep", "many", "counts"), "h").select(F.col("h").alias("_h"), "rep", "many", "counts"))
+    # one text of each distinct one that met another: found by its id, so most texts stay where they are
+    ids = common.small(wanted.select("_h", "rep"))
+    held = texts.join(ids, (texts["h"] == ids["_h"]) & texts["doc_id"].eqNullSafe(ids["rep"])).select("h", "text").dropDuplicates(["h"])
+    held = common.cut(held.join(wanted.select(F.col("_h").alias("h"), "many", "counts"), "h"))
 
     def linked(pairs: DataFrame) -> DataFrame:
-        ab = pairs.join(held.select(F.col("h").alias("a"), F.col("text").alias("ta")), "a")
-        ab = ab.join(held.select(F.col("h").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
-        return common.cut(ab.mapInArrow(_verify, "a long, b long"))
-
-    links = linked(near)
+        ab = pairs.join(held.toDF("a", "ta", "ma", "ca"), "a").join(held.toDF("b", "tb", "mb", "cb"), "b")
+        return common.cut(ab.select("a", "b", "ta", "tb", "ma", "mb", "ca", "cb").mapInArrow(_verify, "a long, b long"))
+
+    # first each member meets the first one of its largest bucket only; then those of its other buckets that are still apart
+    one = met.groupBy("h").agg(F.max(F.struct("n", "lo")).alias("_x")).select(F.col("h").alias("a"), F.col("_x.lo").alias("b"))
+    found = [linked(one)]
+    comp = components(found[0], few)
+    known = common.small(comp)
+    apart = met.join(known.toDF("h", "_a"), "h", "left").join(known.toDF("lo", "_b"), "lo", "left")
+    apart = apart.where(F.coalesce("_a", "h") != F.coalesce("_b", "lo")).select(F.col("h").alias("a"), F.col("lo").alias("b"))
+    found.append(linked(apart))
+    comp = joined(comp, found[-1])
     for every in (False, True):
-        comp = components(links)
-        live = rows.join(comp.withColumnRenamed("node", "h"), "h", "left").select("s", "n", "h", F.coalesce("label", "h").alias("label"))
-        mixed = live.groupBy("s").agg(F.min("label").alias("_a"), F.max("label").alias("_b")).where("_a <> _b").select("s")
+        live = rows.join(common.small(comp).withColumnRenamed("node", "h"), "h", "left").select("s", "n", "h", F.coalesce("label", "h").alias("label"))
+        # buckets of the same members (by their number and the sum of their hashes) are settled once
+        mixed = live.groupBy("s").agg(F.min("label").alias("_a"), F.max("label").alias("_b"), F.bit_xor(F.xxhash64("h")).alias("_x"), F.count("*").alias("_n")).where("_a <> _b")
+        mixed = mixed.groupBy("_x", "_n", "_a", "_b").agg(F.min("s").alias("s"))
+        if not every:  # only to have fewer components: the largest bucket between the same two will do
+            mixed = mixed.groupBy("_a", "_b").agg(F.max(F.struct("_n", "s")).alias("_m")).select("_m.s")
+        mixed = common.cut(mixed.select("s"))
         parts = F.ceil(F.col("n") / BLOCK)
-        live = live.join(mixed, "s").join(size, "h").withColumn("part", F.pmod(F.xxhash64("h", "s"), parts))
+        live = live.join(common.small(mixed), "s", "left_semi").join(held.select("h", "many", "counts"), "h").withColumn("part", F.pmod(F.xxhash64("h", "s"), parts))
         live = live.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)))
         live = live.select("s", F.least("part", "o").alias("i"), F.greatest("part", "o").alias("j"), "part", "h", "label", "many", "counts")
-        pairs = live.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j").mapInArrow(_across(every), "a long, b long").distinct()
-        links = common.cut(links.union(linked(common.cut(pairs))))
-    comp = components(links)
+        pairs = common.cut(live.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j").mapInArrow(_across(every), "a long, b long").distinct())
+        found.append(linked(pairs))
+        comp = joined(comp, found[-1])
+        common.forget(mixed, pairs)
+    links = found[0].union(found[1]).union(found[2]).union(found[3]).distinct()
     degree = links.select(F.col("a").alias("h")).union(links.select(F.col("b").alias("h"))).groupBy("h").agg(F.count("*").alias("links"))
-    out = distinct.select("h", "rep", "copies").join(comp.withColumnRenamed("node", "h"), "h", "left").join(degree, "h", "left")
+    out = distinct.select("h", "rep", "copies").join(common.small(comp).withColumnRenamed("node", "h"), "h", "left").join(degree, "h", "left")
     out = out.select("h", "rep", "copies", F.coalesce("label", "h").alias("label"), F.coalesce("links", F.lit(0)).alias("links"))
     named = out.groupBy("label").agg(F.min("rep").alias("class_id"), F.sum("copies").alias("members"))
-    return common.cut(out.join(named, "label").select("h", "label", "class_id", "members", (F.col("links") + F.col("copies") - 1).alias("links")))
+    done = common.cut(out.join(named, "label").select("h", "label", "class_id", "members", (F.col("links") + F.col("copies") - 1).alias("links")))
+    common.forget(distinct, buckets, rows, met, wanted, held, comp, *found)
+    return done
 
 
 def membership(docs: DataFrame) -> DataFrame:
