@@ -9,12 +9,12 @@ from pyspark.sql import functions as F
 from graphstitch.operators import baselines, execute, metrics, scoring
 from graphstitch.operators.catalog import MotifCatalog
 from graphstitch.plans import advisor, sqlgen
-from graphstitch.plans.backtrack import adjacency, brute
+from graphstitch.plans.backtrack import adjacency, brute, find_one
 from graphstitch.plans.decompose import ORDERS, decompose
 from graphstitch.plans.motifs import LIBRARY, Motif
-from graphstitch.plans.pattern import Pattern, path, ring, sample_pattern, star
-from graphstitch.sources import lattice
-from graphstitch.sources.graph import DataGraph
+from graphstitch.plans.pattern import Pattern, path, ring, routed_star, sample_pattern, star
+from graphstitch.sources import derive, lattice
+from graphstitch.sources.graph import DataGraph, numbered
 
 HH156 = lattice.HeavyHex(8, 16)
 
@@ -156,3 +156,37 @@ def test_plans_refuse_reuse_inside_the_join(hh):
     assert "Cartesian" not in plan and plan.count("Join Inner") == 3 and "IN (" in plan
     closing = execute.run_plan(decompose(ring(4), ["edge"]), c)._jdf.queryExecution().optimizedPlan().toString()
     assert "LeftSemi" in closing
+
+
+def test_a_stitch_is_one_join_on_small_graphs(spark):
+    """Induced checks and scores look nothing up: no more joins than tiles."""
+    g, data = lattice.of_range(spark, HH156).pin(), adjacency(HH156.pairs())
+    p = sample_pattern(data, 8, 3)
+    vq = g.vertices.select("id", (1 - F.col("id") / 1e4).alias("q"))
+    eq = g.edges.select("u", "v", (1 - (F.col("u") + F.col("v")) / 1e5).alias("q"))
+    tiles = len(decompose(p, ["edge", "path4"]).tiles)
+    scored = scoring.score_layouts(g, p, vq, eq)
+    plan = scored._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.split("InMemoryRelation")[0].count("Join ") <= tiles
+    rows = {tuple(r)[:-1]: r["score"] for r in scored.collect()}
+    after = {tuple(r)[:-1]: r["score"] for r in scoring.score_after(execute.match(g, p), p, vq, eq).collect()}
+    assert rows.keys() == after.keys() and all(abs(rows[k] - after[k]) < 1e-12 for k in rows)
+    least = sorted(rows.values())[len(rows) // 2]
+    kept = scoring.score_layouts(g, p, vq, eq, min_score=least).collect()
+    assert {tuple(r)[:-1] for r in kept} == {k for k, s in rows.items() if s >= least}
+    g.unpin()
+
+
+def test_numbering_and_blocked_neighbours(spark, tmp_path):
+    df = spark.range(500).select((F.col("id") * 37 % 500).alias("x")).repartition(5)
+    assert {r["x"]: r["k"] for r in numbered(df, ["x"], "k").collect()} == {i: i for i in range(500)}
+    spark.range(60).select(F.col("id").alias("vec_id"), F.array(*[F.cos(F.col("id") * (k + 1)).cast("float") for k in range(4)]).alias("embedding")).write.parquet(f"{tmp_path}/embeddings.parquet")
+    one, many = (derive.knn(spark, str(tmp_path), block=b).edges.collect() for b in (1000, 7))
+    assert sorted(map(tuple, one)) == sorted(map(tuple, many)) and len(one) >= 180
+
+
+def test_routed_stars_are_on_the_device():
+    data = adjacency(HH156.pairs())
+    for n in (10, 30, 70):
+        p = routed_star(data, HH156.snake(), n)
+        assert p.n == n and find_one(p.adj, data, set(), None) is not None
