@@ -1,11 +1,12 @@
 """Language identification by a bidirectional gated recurrent network over bytes.
 
-The network is trained in numpy by backpropagation through time on a bounded sample of labelled documents, and reads whole
-texts in segments of `SEGMENT` bytes, all segments of a batch in step. It labels every byte; the document's probabilities
+The network is trained in numpy by backpropagation through time on a bounded sample of labelled documents, of which it sees
+segments spread over the whole text, and reads whole texts in segments of `SEGMENT` bytes, all segments of a batch in step. It labels every byte; the document's probabilities
 are the mean over its bytes. Only the weights (a few kilobytes) travel to the executors.
 
 Defined results: a null text, or one without a letter, is `und` with score 0; without any learned language all are `und`;
-repeated rows are each reported; an empty table gives an empty result; lang, source and doc_id are no inputs.
+repeated rows are each reported; of equal probabilities the language first in order is taken; texts of any length are read
+whole; an empty table gives an empty result; lang, source and doc_id are no inputs.
 """
 
 from __future__ import annotations
@@ -18,8 +19,8 @@ from pyspark.sql import functions as F
 from graphstitch.llm.common import lists_of, slices, text_buffer
 
 HIDDEN, SEGMENT = 8, 64
-#: Bound of the training sample: documents, and characters of each.
-TRAIN_DOCS, TRAIN_CHARS = 4_000, 160
+#: Bound of the training sample: documents, and segments of each, spread evenly over its whole text.
+TRAIN_DOCS, TRAIN_SEGMENTS = 4_000, 16
 STEPS, BATCH, TRAIN_SEGMENT, RATE = 180, 192, 40, 0.03
 
 
@@ -107,16 +108,17 @@ class Network:
             back = ds * z + da @ np.swapaxes(self.w["u"], 1, 2)
         return loss, g
 
-    def fit(self, texts: list[bytes], labels: list[int], steps: int = STEPS, batch: int = BATCH, segment: int = TRAIN_SEGMENT, rate: float = RATE, seed: int = 11):
-        """Adam on segments drawn evenly from the classes."""
+    def fit(self, texts: list[list[bytes]], labels: list[int], steps: int = STEPS, batch: int = BATCH, segment: int = TRAIN_SEGMENT, rate: float = RATE, seed: int = 11):
+        """Adam on segments drawn evenly from the classes, from their documents, and from the segments of each."""
         rng = np.random.default_rng(seed)
-        by_class = [[t for t, y in zip(texts, labels) if y == k and len(t) >= 1] for k in range(len(self.classes))]
+        by_class = [[t for t, y in zip(texts, labels) if y == k] for k in range(len(self.classes))]
         first, second = ({k: np.zeros_like(v) for k, v in self.w.items()} for _ in range(2))
         for step in range(1, steps + 1):
             label = np.arange(batch) % len(by_class)
             rows = []
             for k in label:
-                t = by_class[k][rng.integers(len(by_class[k]))]
+                parts = by_class[k][rng.integers(len(by_class[k]))]
+                t = parts[rng.integers(len(parts))]
                 t = t * (segment // len(t) + 1) if len(t) < segment else t
                 at = rng.integers(len(t) - segment + 1)
                 rows.append(np.frombuffer(t[at : at + segment], np.uint8))
@@ -148,15 +150,32 @@ class Network:
         return out
 
 
+def segments_of(raw: bytes, most: int = TRAIN_SEGMENTS, size: int = TRAIN_SEGMENT) -> list[bytes]:
+    """The whole text, or evenly spread segments of it if it has more bytes than they have."""
+    if len(raw) <= most * size:
+        return [raw]
+    return [raw[x : x + size] for x in (np.arange(most) * (len(raw) - size) // (most - 1)).tolist()]
+
+
 def train(docs: DataFrame, most: int = TRAIN_DOCS) -> Network:
-    """Learns from `most` documents at most, those of least hash, and from `TRAIN_CHARS` characters of each at a hashed place."""
+    """Learns from `most` documents at most, those of least hash of their id: ids are chosen first, then only their segments
+    are fetched, so a task sends `most` narrow rows to the driver at most, and all of them `most` times 640 bytes."""
     known = docs.where(F.col("lang").isNotNull() & F.col("text").rlike(r"\p{L}") & (F.crc32(F.col("doc_id").cast("string")) % 5 != 0))
-    size = F.char_length("text")
-    at = F.pmod(F.xxhash64("doc_id", "lang"), F.greatest(size - TRAIN_CHARS, F.lit(0)) + 1).cast("int")
-    rows = known.select("lang", F.substring(F.col("text"), at + 1, F.lit(TRAIN_CHARS)).alias("t"), F.xxhash64("doc_id").alias("_o"), "doc_id").orderBy("_o", "doc_id", "lang", "t").limit(most).collect()
-    rows = [(r["lang"], r["t"].encode()) for r in rows if r["t"]]
-    classes = sorted({x for x, _ in rows})
-    return Network(classes).fit([t for _, t in rows], [classes.index(x) for x, _ in rows]) if len(classes) > 0 else Network([])
+    known = known.select("doc_id", "lang", "text", F.xxhash64("doc_id").alias("_o"))
+    ids = known.select("_o", "doc_id").orderBy("_o", "doc_id").limit(most).distinct().collect()
+    if not ids:
+        return Network([])
+    chosen = docs.sparkSession.createDataFrame([(r["doc_id"],) for r in ids], "doc_id long")
+
+    def cut(batches):
+        for batch in batches:
+            parts = [segments_of(t.encode()) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("_o"), batch.column("doc_id"), batch.column("lang"), pa.array(parts, pa.list_(pa.binary()))], ["_o", "doc_id", "lang", "parts"])
+
+    parts = known.join(F.broadcast(chosen), "doc_id").select("_o", "doc_id", "lang", "text").mapInArrow(cut, "_o long, doc_id long, lang string, parts array<binary>")
+    rows = parts.orderBy("_o", "doc_id", "lang", "parts").limit(most).collect()
+    classes = sorted({r["lang"] for r in rows})
+    return Network(classes).fit([list(map(bytes, r["parts"])) for r in rows], [classes.index(r["lang"]) for r in rows])
 
 
 def predict(docs: DataFrame, net: Network) -> DataFrame:
