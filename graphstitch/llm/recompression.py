@@ -8,11 +8,12 @@ are always filed under equal names. (A window without such a symbol, as inside a
 Symbols that occur once are then alone under their name; under shared names, windows are verified by 40 more bits of their
 content, at equal places relative to the symbol. So no repeat is lost, and a false one needs a 104-bit accident.
 
-Scale: one exchange of about a twelfth as many rows as words, by name; names with more than `hot` rows leave that path and
-are settled by counts that combine before their shuffle, and a join that adaptive execution can split. No pairs are made.
+Scale: one exchange of about a twelfth as many rows as words, by name; names with more than about `hot` rows leave that path
+and are settled by counts that combine before their shuffle, and a join that adaptive execution can split. No pairs are made.
+The texts are parsed once for either path, and a sixteenth of them before, to tell the paths apart.
 
 Defined results: null and blank texts have no words; texts shorter than a window keep all; repeated rows are each other's
-copies, so both lose their windows; rows are known by doc_id and text, so repeated or null ids do no harm; an empty table
+copies, so both lose their windows; rows are known by doc_id and a 64-bit hash of the text, so repeated or null ids do no harm; an empty table
 gives an empty result; other columns pass through `remove_repeats` untouched.
 """
 
@@ -32,13 +33,15 @@ WINDOW = 35
 ROUNDS = 3
 #: Rows under one name beyond which the name leaves the grouping path.
 HOT = 100_000
+#: Names are judged by every HOT_PART-th row.
+HOT_PART = 16
 #: Hot names that may be broadcast (8 bytes each); beyond, a shuffled join.
 HOT_BROADCAST = 200_000
 
 #: In place of a symbol's place: a stretch of windows that is settled already.
 SETTLED = -1
-FILED = "name long, doc_id long, th int, lead int, first int, body binary"
-SPAN = "doc_id long, th int, a int, b int"
+FILED = "name long, doc_id long, th long, lead int, first int, body binary"
+SPAN = "doc_id long, th long, a int, b int"
 
 
 def parse(x: np.ndarray, first: np.ndarray, rounds: int = ROUNDS) -> tuple[np.ndarray, ...]:
@@ -245,7 +248,10 @@ def _loose(batches):
 def repeated_spans(texts: DataFrame, hot: int = HOT) -> DataFrame:
     """texts: doc_id, th, text. Returns word spans [a, b) of each text that repeated windows cover; spans may overlap."""
     filed = texts.mapInArrow(_file, FILED)
-    often = common.cut(filed.where(F.col("lead") != SETTLED).groupBy("name").agg(F.count("*").alias("n")).where(F.col("n") > hot).select("name"))
+    # which names are often is only looked up in a part of the rows: either path settles a name wholly and alike
+    part = max(1, min(HOT_PART, hot // 5_000))
+    some = filed if part == 1 else texts.where(F.rand(5) < 1 / part).mapInArrow(_file, FILED)
+    often = common.cut(some.where(F.col("lead") != SETTLED).groupBy("name").agg(F.count("*").alias("n")).where(F.col("n") > hot // part).select("name"))
     n_hot = often.count()
     cold = filed
     if n_hot:
@@ -253,7 +259,7 @@ def repeated_spans(texts: DataFrame, hot: int = HOT) -> DataFrame:
         cold = filed.join(often, "name", "left_anti")
     out = cold.repartition(F.col("name")).sortWithinPartitions("name").mapInArrow(_settle, SPAN)
     if n_hot:
-        loose = filed.where(F.col("lead") != SETTLED).join(often, "name", "left_semi").mapInArrow(_loose, "name long, lead int, content long, doc_id long, th int, a int")
+        loose = common.cut(filed.where(F.col("lead") != SETTLED).join(often, "name", "left_semi").mapInArrow(_loose, "name long, lead int, content long, doc_id long, th long, a int"))
         key = ["name", "lead", "content"]
         twice = loose.groupBy(*key).agg(F.count("*").alias("n")).where("n > 1").select(*key)
         out = out.unionByName(loose.join(twice, key).select("doc_id", "th", "a", (F.col("a") + WINDOW).alias("b")))
@@ -262,10 +268,10 @@ def repeated_spans(texts: DataFrame, hot: int = HOT) -> DataFrame:
 
 def _with_spans(docs: DataFrame, th: str, cover: str, hot: int) -> DataFrame:
     """docs with the text's hash and the list of its covered spans; one exchange of the texts."""
-    texts = docs.select("doc_id", "text", F.hash("text").alias("th"))
+    texts = docs.select("doc_id", "text", F.xxhash64("text").alias("th"))
     spans = repeated_spans(texts, hot).groupBy("doc_id", "th").agg(F.collect_list(F.struct("a", "b")).alias(cover))
     spans = spans.select(F.col("doc_id").alias("_d"), F.col("th").alias("_t"), cover)
-    marked = docs.withColumn(th, F.hash("text"))
+    marked = docs.withColumn(th, F.xxhash64("text"))
     return marked.join(spans, marked["doc_id"].eqNullSafe(spans["_d"]) & (marked[th] == spans["_t"]), "left").drop("_d", "_t")
 
 
