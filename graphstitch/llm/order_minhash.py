@@ -14,15 +14,16 @@ Before texts are aligned a pair must pass a bound that no link breaks: counts of
 longer length >= `SIMILARITY`. Classes are the connected components of the links, found by distributed label propagation.
 
 Scale: names (some 100 of 8 bytes a text) are shuffled once, to be counted; buckets of two are pairs at once, members of the
-others are fetched by a join with the buckets, broadcast only up to a counted bound. Word counts are moved for pairs that
-met, texts only for pairs that pass the bound. Large buckets of several components are dealt out in blocks of `BLOCK`
-members; their pairs of counts grow with the square of the bucket, their rows with that square over `BLOCK`. Nothing but row
-counts reaches the driver. Of long texts with random changes exactly at the similarity bound 93 % or more share a sketch
-(measured, and tested), at 0.85 more than 99 %.
+others are fetched by a join with the buckets, broadcast only up to a counted bound. Texts are moved for pairs that met, in
+the first round one pair a text. Large buckets of several components are dealt out in blocks of `BLOCK` members; their pairs
+of counts grow with the square of the bucket, their rows with that square over `BLOCK`. Components are found over all texts
+once; later links join labels, up to `FEW_LINKS` of them in one task. Nothing but row counts reaches the driver. Of long
+texts with random changes exactly at the similarity bound 93 % or more share a sketch (measured, and tested), at 0.85 more
+than 99 %.
 
 Defined results: null and empty texts are equal to each other and form one class; so do texts of blanks only with equal
-blanks; a class is named after its least doc_id (null only if all are) and told from others of that id by its label; repeated rows are in one class; an empty table
-gives an empty result; other columns pass through `keep_one` untouched. Distinct texts are known by a 64-bit hash.
+blanks; a class is named after its least doc_id (null only if all are) and told from others of that id by its label; repeated rows
+are in one class; an empty table gives an empty result; other columns pass through `keep_one` untouched. Distinct texts are known by a 64-bit hash.
 """
 
 from __future__ import annotations
