@@ -18,7 +18,9 @@ rows, in the order of their ids; an empty table gives an empty file and result;
 from __future__ import annotations
 
 import functools
+import json
 import os
+import re
 import struct
 import uuid
 import zlib
@@ -30,47 +32,94 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from graphstitch.llm.common import Memo, ensure_checkpoint_dir
+from graphstitch.llm.common import Memo, ensure_checkpoint_dir, slices
 
 TOKENIZER, END_ID = "word_bpe_49k.json", 1
 BITS, LANES, CHECK_STEPS, BLOCK_IDS = 20, 1024, 128, 1 << 18
 #: Parts whose totals may be broadcast.
 PARTS_BROADCAST = 1_000_000
+#: The settings of the tokenizer file for which pre-tokens are cut here; with any others the library does it all.
+NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]}
+PRE_TOKENIZER = {
+    "type": "Sequence",
+    "pretokenizers": [
+        {"type": "Split", "pattern": {"Regex": "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"}, "behavior": "Removed", "invert": True},
+        {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+    ],
+}
 _LOW, _HEAD = np.uint64(1 << 31), struct.Struct("<4sBBHIIIIII")
 _BLOCKS = "part int, number int, at long, ids long, block binary"
 
 
+#: What the tokenizer's own pattern finds in lower-cased text of characters below U+0100.
+_PIECE = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|[0-9\xb2\xb3\xb9\xbc-\xbe]|[^\t\n\x0b\x0c\r \x85\xa0a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff0-9\xb2\xb3\xb9\xbc-\xbe]+")
+
+
 class Tokens:
-    """Ids of a text as 16-bit numbers where the vocabulary allows, else 32-bit ones. White space separates pre-tokens, so the runs between plain blanks and line ends
-    encode on their own; their ids are remembered."""
+    """Ids of a text as 16-bit numbers where the vocabulary allows, else 32-bit ones. White space separates pre-tokens, so the
+    runs between plain blanks and line ends encode on their own; their ids are remembered. Runs of characters below U+0100 fall
+    into pre-tokens here, which are remembered too; unknown ones go to the library together, and come back apart by the mark
+    that ends each of them."""
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.memo = Memo(self._fill, 500_000)
-        self.stop = "<|endoftext|>"
-        self.stop_id = self.tokenizer.token_to_id(self.stop)
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        with open(path, encoding="utf-8") as f:
+            form = json.load(f)
+        self.known = form["pre_tokenizer"] == PRE_TOKENIZER and form["normalizer"] == NORMALIZER and form["model"].get("end_of_word_suffix") == "</w>"
+        self.specials = [t["content"] for t in form["added_tokens"]]
+        self.memo, self.pieces = Memo(self._fill, 300_000), Memo(self._pieces, 150_000)
 
     def _alone(self, chunk: str) -> bytes:
         return np.array(self.tokenizer.encode(chunk, add_special_tokens=False).ids, self.kind).tobytes()
 
     def _fill(self, chunks: list[str]) -> list[bytes]:
-        """All at once, with a special token between them: the library cuts there before it does anything else."""
-        if self.stop_id is None or any("<|" in c for c in chunks):
-            return [self._alone(c) for c in chunks]
-        ids = np.array(self.tokenizer.encode(self.stop.join(chunks), add_special_tokens=False).ids)
-        cuts = np.flatnonzero(ids == self.stop_id)
-        if len(cuts) != len(chunks) - 1:
-            return [self._alone(c) for c in chunks]
+        out: list = [None] * len(chunks)
+        found, owner = [], []
+        every = "\n".join(chunks)
+        special = [t for t in self.specials if t in every]
+        for i, c in enumerate(chunks):
+            if self.known and (c.isascii() or max(c) < "\u0100") and not (special and any(t in c for t in special)):
+                got = _PIECE.findall(c.lower())
+                found += got
+                owner.append((i, len(got)))
+            else:
+                out[i] = self._alone(c)
+        ids, at = self.pieces.many(found) if found else [], 0
+        for i, n in owner:
+            out[i] = b"".join(ids[at : at + n])
+            at += n
+        return out
+
+    def _pieces(self, pieces: list[str]) -> list[bytes]:
+        """All at once, with blanks between; the last token of each has the mark of a word's end."""
+        ids = np.array(self.tokenizer.encode(" ".join(pieces), add_special_tokens=False).ids, np.int64)
+        cuts = np.flatnonzero(self.ends[ids]) + 1
+        if len(cuts) != len(pieces):
+            return list(map(self._alone, pieces))
         raw, w = ids.astype(self.kind).tobytes(), self.kind.itemsize
-        ends = [*(cuts * w).tolist(), len(raw)]
-        return [raw[x:y] for x, y in zip([0, *(e + w for e in ends[:-1])], ends)]
+        ends = (cuts * w).tolist()
+        return [raw[x:y] for x, y in zip([0, *ends[:-1]], ends)]
+
+    def batch(self, texts: list[str | None]) -> list[bytes]:
+        """Of each text; what is unknown in any of them goes to the library in one call."""
+        words = [t.replace("\n", " ").split(" ") if t else [] for t in texts]
+        got = [list(map(self.memo.young.get, w)) for w in words]
+        missing = {x for w, g in zip(words, got) if None in g for x, y in zip(w, g) if y is None}
+        if missing:
+            missing = list(missing)
+            found = dict(zip(missing, self.memo.many(missing)))
+            got = [[found[x] if y is None else y for x, y in zip(w, g)] if None in g else g for w, g in zip(words, got)]
+        return list(map(b"".join, got))
 
     def __call__(self, text: str | None) -> bytes:
-        return b"".join(self.memo.many(text.replace("\n", " ").split(" "))) if text else b""
+        return self.batch([text])[0]
 
 
 @functools.lru_cache(2)
@@ -169,8 +218,9 @@ def tokenised(docs: DataFrame, path: str, end_id: int = END_ID) -> DataFrame:
     def run(batches):
         encode = tokens(path)
         tail = np.array([end_id], encode.kind).tobytes()
-        for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([encode(t) + tail for t in batch.column("text").to_pylist()], pa.binary())], ["doc_id", "ids"])
+        for batch in (b.slice(x, y - x) for b in batches for x, y in slices(b.column("text"), 2 << 20)):
+            ids = encode.batch(batch.column("text").to_pylist())
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([x + tail for x in ids], pa.binary())], ["doc_id", "ids"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids binary")
 
