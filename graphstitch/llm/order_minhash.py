@@ -7,7 +7,7 @@ whole text below): texts of edit similarity >= `SIMILARITY` always share such a
 are merged first; distinct texts that share a name are a bucket.
 
 Every pair of a bucket is settled, in four rounds of links and components: members meet the first one of their largest
-bucket, then those of their other buckets that are still apart; then, in one bucket for each two components that still share
+bucket, then buckets of two meet that are still apart; then, in one bucket for each two components that still share
 some, each member meets the likeliest one of another component; then all pairs of different components that are left in any.
 Before texts are aligned a pair must pass a bound that no link breaks: counts of words in
 `BINS` bins differ by one per edit at most. Pairs are aligned word by word inside a band and linked when 1 - distance /
@@ -15,7 +15,7 @@ longer length >= `SIMILARITY`. Classes are the connected components of the links
 
 Scale: names (some 100 of 8 bytes a text) are shuffled once, to be counted; buckets of two are pairs at once, members of the
 others are fetched by a join with the buckets, broadcast only up to a counted bound. Texts are moved for pairs that met, in
-the first round one pair a text. Large buckets of several components are dealt out in blocks of `BLOCK` members; their pairs
+the first round one pair a text, in the last two once for each two groups of `GROUP` texts with pairs. Large buckets of several components are dealt out in blocks of `BLOCK` members; their pairs
 of counts grow with the square of the bucket, their rows with that square over `BLOCK`. Components are found over all texts
 once; later links join labels, up to `FEW_LINKS` of them in one task. Nothing but row counts reaches the driver. Of long
 texts with random changes exactly at the similarity bound 93 % or more share a sketch (measured, and tested), at 0.85 more
@@ -41,6 +41,8 @@ GRAM, SIMILARITY = 5, 0.8
 TIERS = [(240, 1, 80), (120, 2, 40), (60, 6, 20), (0, 32, 5)]
 #: Texts of LONG words on have sketches, texts up to SHORT words all their runs; LONG <= 0.8 * (SHORT + 1).
 LONG, SHORT, BINS, BLOCK = 25, 30, 256, 1024
+#: Texts of a group where many pairs of few texts are aligned.
+GROUP = 128
 #: Links between components that one task may join.
 FEW_LINKS = 20_000
 
@@ -288,6 +290,38 @@ def _verify(batches):
         yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
 
+@tidy
+def _align(batches):
+    """Over the members of each group, in order: h, label, text and the members `others` it is to be compared with. A pair is
+    aligned unless links found before it in the group join its components already."""
+    group, held, out = None, {}, []
+
+    def settle():
+        up: dict[int, int] = {}
+
+        def root(x):
+            while up.setdefault(x, x) != x:
+                x = up[x]
+            return x
+
+        for a, (label, ta, others) in held.items():
+            for b in others:
+                x, y = root(label), root(held[b][0])
+                if x != y and alike(ta, held[b][1]):
+                    up[max(x, y)] = min(x, y)
+                    out.append((a, b))
+        held.clear()
+
+    for batch in batches:
+        for s, h, label, text, others in zip(*(batch.column(c).to_pylist() for c in ("s", "h", "label", "text", "others"))):
+            if s != group:
+                settle()
+                group = s
+            held[h] = (label, text.encode().split(), others)
+    settle()
+    yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (zip(*out) if out else ((), ()))], ["a", "b"])
+
+
 @tidy
 def _union(batches):
     """Node and least node of its component, for a bounded number of links."""
@@ -364,12 +398,28 @@ def classes(docs: DataFrame, few: int = FEW_LINKS) -> DataFrame:
         ab = pairs.join(held.toDF("a", "ta", "ma", "ca"), "a").join(held.toDF("b", "tb", "mb", "cb"), "b")
         return common.cut(ab.select("a", "b", "ta", "tb", "ma", "mb", "ca", "cb").mapInArrow(_verify, "a long, b long"))
 
-    # first each member meets the first one of its largest bucket only; then those of its other buckets that are still apart
+    def settled(pairs: DataFrame, comp: DataFrame) -> DataFrame:
+        """Links among many pairs of few texts. Texts fall into groups of some `GROUP`; one is moved once for each two groups
+        in which it has a pair, not for each pair."""
+        groups = 1 + pairs.select("a").union(pairs.select("b")).distinct().count() // GROUP
+        place = lambda c: F.pmod(F.xxhash64(F.lit(9), c), F.lit(groups))
+        own = pairs.select("a", "b", (place("a") * groups + place("b")).alias("s"))
+        asks = own.groupBy("s", F.col("a").alias("h")).agg(F.collect_list("b").alias("others"))
+        none = own.select("s", F.col("b").alias("h"), F.array().cast("array<long>").alias("others")).distinct()
+        member = asks.union(none).groupBy("s", "h").agg(F.flatten(F.collect_list("others")).alias("others"))
+        member = common.cut(member)
+        ab = member.join(held.select("h", "text"), "h").join(common.small(comp).withColumnRenamed("node", "h"), "h", "left")
+        ab = ab.select("s", "h", F.coalesce("label", "h").alias("label"), "text", "others").repartition("s").sortWithinPartitions("s")
+        out = common.cut(ab.mapInArrow(_align, "a long, b long"))
+        common.forget(member)
+        return out
+
+    # first each member meets the first one of its largest bucket only; then buckets of two whose members are still apart
     one = met.groupBy("h").agg(F.max(F.struct("n", "lo")).alias("_x")).select(F.col("h").alias("a"), F.col("_x.lo").alias("b"))
     found = [linked(one)]
     comp = components(found[0], few)
     known = common.small(comp)
-    apart = met.join(known.toDF("h", "_a"), "h", "left").join(known.toDF("lo", "_b"), "lo", "left")
+    apart = met.where("n = 2").join(known.toDF("h", "_a"), "h", "left").join(known.toDF("lo", "_b"), "lo", "left")
     apart = apart.where(F.coalesce("_a", "h") != F.coalesce("_b", "lo")).select(F.col("h").alias("a"), F.col("lo").alias("b"))
     found.append(linked(apart))
     comp = joined(comp, found[-1])
@@ -386,7 +436,7 @@ def classes(docs: DataFrame, few: int = FEW_LINKS) -> DataFrame:
         live = live.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)))
         live = live.select("s", F.least("part", "o").alias("i"), F.greatest("part", "o").alias("j"), "part", "h", "label", "many", "counts")
         pairs = common.cut(live.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j").mapInArrow(_across(every), "a long, b long").distinct())
-        found.append(linked(pairs))
+        found.append(settled(pairs, comp))
         comp = joined(comp, found[-1])
         common.forget(mixed, pairs)
     links = found[0].union(found[1]).union(found[2]).union(found[3]).distinct()
