@@ -192,7 +192,7 @@ def test_routed_stars_are_on_the_device():
         assert p.n == n and find_one(p.adj, data, set(), None) is not None
 
 
-@pytest.mark.parametrize("name", ["tile_first_match", "tile_boundary", "automorphisms", "metric_iterations", "metric_iterations_path4", "metric_speedup", "brute_force", "stitch_join", "scan_lattice_grid"])
+@pytest.mark.parametrize("name", ["tile_first_match", "tile_boundary", "automorphisms", "metric_iterations", "metric_iterations_path4", "metric_speedup", "brute_force", "stitch_join", "scan_lattice_grid", "scan_lattice_heavyhex"])
 def test_queries_read_the_given_tables(spark, tmp_path, name):
     """On small tables of our own the rows follow the tables, as their SQL says."""
     from graphstitch import queries
