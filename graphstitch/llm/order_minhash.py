@@ -8,15 +8,17 @@ are merged first; distinct texts that share a name are a bucket.
 
 Every pair of a bucket is settled, in four rounds of links and components: members meet the first one of their largest
 bucket, then buckets of two meet that are still apart; then, in one bucket for each two components that still share
-some, each member meets the likeliest one of another component; then all pairs of different components that are left in any.
-Before texts are aligned a pair must pass a bound that no link breaks: counts of words in
+some, each member meets the likeliest one of another component; then all that are left in any. There a component is one row of
+a bucket, with the least and most words of its members in each bin; members of two components meet, once and not by bucket,
+only if these leave room for a link. Before texts are aligned a pair must pass a bound that no link breaks: counts of words in
 `BINS` bins differ by one per edit at most. Pairs are aligned word by word inside a band and linked when 1 - distance /
 longer length >= `SIMILARITY`. Classes are the connected components of the links, found by distributed label propagation.
 
 Scale: names (some 100 of 8 bytes a text) are shuffled once, to be counted; buckets of two are pairs at once, members of the
 others are fetched by a join with the buckets, broadcast only up to a counted bound. Texts are moved for pairs that met, in
-the first round one pair a text, in the last two once for each two groups of `GROUP` texts with pairs. Large buckets of several components are dealt out in blocks of `BLOCK` members; their pairs
-of counts grow with the square of the bucket, their rows with that square over `BLOCK`. Components are found over all texts
+the first round one pair a text, in the last two once for each two groups of `GROUP` texts with pairs. Large buckets of several
+components are dealt out in blocks of `BLOCK` members, or components in the last round; the pairs of counts compared grow with
+the square of these, their rows with that square over `BLOCK`. Components are found over all texts
 once; later links join labels, up to `FEW_LINKS` of them in one task. Nothing but row counts reaches the driver. Of long
 texts with random changes exactly at the similarity bound 93 % or more share a sketch (measured, and tested), at 0.85 more
 than 99 %.
@@ -43,6 +45,11 @@ TIERS = [(240, 1, 80), (120, 2, 40), (60, 6, 20), (0, 32, 5)]
 LONG, SHORT, BINS, BLOCK = 25, 30, 256, 1024
 #: Texts of a group where many pairs of few texts are aligned.
 GROUP = 128
+#: Components of several members that a task holds while it puts their members together (some 600 bytes each).
+BOXES = 20_000
+#: Buckets of a component that are listed beside it, so that its pairs come out once; components of more have no list, and their
+#: pairs may come out once for each bucket.
+LISTED = 256
 #: Links between components that one task may join.
 FEW_LINKS = 20_000
 
@@ -158,27 +165,60 @@ def _table(column: pa.Array) -> np.ndarray:
     return np.frombuffer(data, np.uint8)[at : at + len(column) * BINS].reshape(len(column), BINS)
 
 
+def _edits(counts_a, counts_b) -> np.ndarray:
+    """Edits that the word counts ask for: words of the one that the other lacks, or the other way round."""
+    most = np.maximum(counts_a, counts_b).sum(-1, dtype=np.int64)
+    return most - np.minimum(counts_a.sum(-1, dtype=np.int64), counts_b.sum(-1, dtype=np.int64))
+
+
 def room_between(counts_a, counts_b, many_a, many_b) -> np.ndarray:
     """How many edits the word counts leave up to the bound of a link; never below 0 for texts that are alike."""
-    most = np.maximum(counts_a, counts_b).sum(-1, dtype=np.int64)
-    apart = most - np.minimum(counts_a.sum(-1, dtype=np.int64), counts_b.sum(-1, dtype=np.int64))
     longest = np.maximum(many_a, many_b)
-    return ((1 - SIMILARITY) * longest + 1e-9).astype(np.int64) - np.maximum(apart, np.abs(many_a - many_b))
+    return ((1 - SIMILARITY) * longest + 1e-9).astype(np.int64) - np.maximum(_edits(counts_a, counts_b), np.abs(many_a - many_b))
 
 
-def _across(every: bool):
-    """Over rows sorted by bucket and block: pairs of different components that pass the bound, all of them or for each
-    member the one with most room."""
+def room_of_boxes(low_a, high_a, low_b, high_b, least_a, most_a, least_b, most_b) -> np.ndarray:
+    """The same for two components, of which the least and most words per bin and in all are known: never less than the room of
+    a text of the one and a text of the other."""
+    missing = np.maximum(low_a, high_b).sum(-1, dtype=np.int64) - high_b.sum(-1, dtype=np.int64)
+    added = np.maximum(low_b, high_a).sum(-1, dtype=np.int64) - high_a.sum(-1, dtype=np.int64)
+    apart = np.maximum(np.maximum(missing, added), np.maximum(least_a - most_b, least_b - most_a))
+    return ((1 - SIMILARITY) * np.maximum(most_a, most_b) + 1e-9).astype(np.int64) - apart
 
-    def settle(h, label, many, own, counts, i, j, out):
-        rows, cols = (np.flatnonzero(own == x) for x in (i, j))
-        for x in rows:
-            longest = np.maximum(many[cols], many[x])
-            other = cols[(label[cols] != label[x]) & (np.abs(many[cols] - many[x]) <= (1 - SIMILARITY) * longest + 1e-9) & ((h[cols] > h[x]) if every and i == j else True)]
-            if len(other):
-                room = room_between(counts[x], counts[other], many[x], many[other])
-                near = other[room >= 0] if every else other[[room.argmax()]] if room.max() >= 0 else ()
-                out += [(min(h[x], h[y]), max(h[x], h[y])) for y in near]
+
+@tidy
+def _boxes(batches):
+    """Rows of one component put together: members, least and most words in all and per bin. Where the rows of a component
+    follow each other it comes out once, otherwise perhaps several times."""
+    held: dict = {}
+
+    def give(but=None):
+        names = [x for x in held if x != but]
+        cols = list(zip(*(held.pop(x) for x in names)))
+        numbers = [pa.array(names, pa.int64()), *(pa.array(np.array(c, np.int64)) for c in cols[:3])]
+        return pa.RecordBatch.from_arrays([*numbers, *(_binary(np.stack(c)) for c in cols[3:])], ["label", "members", "least", "most", "low", "high"])
+
+    for batch in batches:
+        if not len(batch):
+            continue
+        label = batch.column("label").to_numpy()
+        order = np.argsort(label, kind="stable")
+        at = np.flatnonzero(np.concatenate([[True], np.diff(label[order]) != 0]))
+        got = [f.reduceat(batch.column(c).to_numpy()[order], at).tolist() for f, c in ((np.add, "members"), (np.minimum, "least"), (np.maximum, "most"))]
+        got += [f.reduceat(_table(batch.column(c))[order], at, axis=0) for f, c in ((np.minimum, "low"), (np.maximum, "high"))]
+        for name, n, a, b, low, high in zip(label[order][at].tolist(), *got):
+            if name in held:
+                more, least, most, lows, highs = held[name]
+                n, a, b, low, high = n + more, min(a, least), max(b, most), np.minimum(low, lows), np.maximum(high, highs)
+            held[name] = (n, a, b, low, high)
+        if len(held) > BOXES:
+            yield give(int(label[-1]))
+    if held:
+        yield give()
+
+
+def _blocks(settle, numbers: list[str], counts: list[str], out_names: list[str], lists: tuple = ()):
+    """Over rows sorted by bucket and block: what `settle` adds to a list for each block, every row of it once."""
 
     @tidy
     def run(batches):
@@ -187,17 +227,14 @@ def _across(every: bool):
         def finish():
             out: list = []
             t = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
-            cols = [t.column(c).to_numpy() for c in ("h", "label", "many", "part", "s", "i", "j")]
-            h, label, many, part, s, i, j = cols
-            counts = _table(t.column("counts"))
+            cols = {c: t.column(c).to_numpy() for c in ("part", *numbers)} | {c: _table(t.column(c)) for c in counts} | {c: t.column(c).to_pylist() for c in lists}
+            s, i, j = (t.column(c).to_numpy() for c in ("s", "i", "j"))
             cuts = np.flatnonzero((np.diff(s) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
             for a, b in zip([0, *cuts], [*cuts, len(s)]):
-                settle(h[a:b], label[a:b], many[a:b], part[a:b], counts[a:b], i[a], j[a], out)
-                if not every and i[a] != j[a]:
-                    settle(h[a:b], label[a:b], many[a:b], part[a:b], counts[a:b], j[a], i[a], out)
+                settle({c: x[a:b] for c, x in cols.items()} | {"s": s[a]}, i[a], j[a], out)
             held.clear()
-            a, b = zip(*set(out)) if out else ((), ())
-            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+            found = list(zip(*set(out))) or [()] * len(out_names)
+            return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in found], out_names)
 
         for batch in batches:
             if not len(batch):
@@ -216,6 +253,51 @@ def _across(every: bool):
     return run
 
 
+def _across(every: bool):
+    """Pairs of texts of different components that pass the bound: all of them, or for each member the one with most room."""
+
+    def one_way(c, i, j, out):
+        h, label, many, counts = (c[x] for x in ("h", "label", "many", "counts"))
+        rows, cols = (np.flatnonzero(c["part"] == x) for x in (i, j))
+        for x in rows:
+            longest = np.maximum(many[cols], many[x])
+            other = cols[(label[cols] != label[x]) & (np.abs(many[cols] - many[x]) <= (1 - SIMILARITY) * longest + 1e-9) & ((h[cols] > h[x]) if every and i == j else True)]
+            if len(other):
+                room = room_between(counts[x], counts[other], many[x], many[other])
+                near = other[room >= 0] if every else other[[room.argmax()]] if room.max() >= 0 else ()
+                out += [(min(h[x], h[y]), max(h[x], h[y])) for y in near]
+
+    def settle(c, i, j, out):
+        one_way(c, i, j, out)
+        if not every and i != j:
+            one_way(c, j, i, out)
+
+    return _blocks(settle, ["h", "label", "many"], ["counts"], ["a", "b"])
+
+
+def _meet():
+    """Pairs of components that may have a pair within the bound. Where one has several members the larger comes first, and
+    `more` is 1. A pair that shares several buckets comes out in the least of them, where the lists of `buckets` of both are known."""
+
+    def settle(c, i, j, out):
+        label, members, least, most, low, high = (c[x] for x in ("label", "members", "least", "most", "low", "high"))
+        buckets = [b and set(b) for b in c["buckets"]]
+        rows, cols = (np.flatnonzero(c["part"] == x) for x in (i, j))
+        for x in rows:
+            longest = np.maximum(most[cols], most[x])
+            far = np.maximum(least[cols] - most[x], least[x] - most[cols]) > (1 - SIMILARITY) * longest + 1e-9
+            other = cols[~far & ((label[cols] > label[x]) if i == j else True)]
+            if len(other):
+                room = room_of_boxes(low[x], high[x], low[other], high[other], least[x], most[x], least[other], most[other])
+                for y in other[room >= 0]:
+                    if buckets[x] and buckets[y] and min(buckets[x] & buckets[y]) != c["s"]:
+                        continue
+                    a, b = sorted((x, y), key=lambda z: (-members[z], label[z]))
+                    out.append((label[a], label[b], int(members[a] > 1)))
+
+    return _blocks(settle, ["label", "members", "least", "most"], ["low", "high"], ["a", "b", "more"], ("buckets",))
+
+
 def distance_within(a: list, b: list, k: int) -> int | None:
     """Edit distance of two sequences if it is k at most, else None. Bit-parallel over the band of 2k + 1 diagonals."""
     if len(a) < len(b):
@@ -423,22 +505,54 @@ def classes(docs: DataFrame, few: int = FEW_LINKS) -> DataFrame:
     apart = apart.where(F.coalesce("_a", "h") != F.coalesce("_b", "lo")).select(F.col("h").alias("a"), F.col("lo").alias("b"))
     found.append(linked(apart))
     comp = joined(comp, found[-1])
-    for every in (False, True):
-        live = rows.join(common.small(comp).withColumnRenamed("node", "h"), "h", "left").select("s", "n", "h", F.coalesce("label", "h").alias("label"))
-        # buckets of the same members (by their number and the sum of their hashes) are settled once
-        mixed = live.groupBy("s").agg(F.min("label").alias("_a"), F.max("label").alias("_b"), F.bit_xor(F.xxhash64("h")).alias("_x"), F.count("*").alias("_n")).where("_a <> _b")
-        mixed = mixed.groupBy("_x", "_n", "_a", "_b").agg(F.min("s").alias("s"))
-        if not every:  # only to have fewer components: the largest bucket between the same two will do
-            mixed = mixed.groupBy("_a", "_b").agg(F.max(F.struct("_n", "s")).alias("_m")).select("_m.s")
-        mixed = common.cut(mixed.select("s"))
+    def dealt(members: DataFrame) -> DataFrame:
+        """Members of buckets of `n` in blocks of `BLOCK`, each block with itself and every other one."""
         parts = F.ceil(F.col("n") / BLOCK)
-        live = live.join(common.small(mixed), "s", "left_semi").join(held.select("h", "many", "counts"), "h").withColumn("part", F.pmod(F.xxhash64("h", "s"), parts))
-        live = live.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)))
-        live = live.select("s", F.least("part", "o").alias("i"), F.greatest("part", "o").alias("j"), "part", "h", "label", "many", "counts")
-        pairs = common.cut(live.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j").mapInArrow(_across(every), "a long, b long").distinct())
-        found.append(settled(pairs, comp))
-        comp = joined(comp, found[-1])
-        common.forget(mixed, pairs)
+        own = members.withColumn("part", F.pmod(F.xxhash64("h", "s"), parts)).withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), parts - 1)))
+        own = own.withColumns({"i": F.least("part", "o"), "j": F.greatest("part", "o")}).drop("o", "n")
+        return own.repartition("s", "i", "j").sortWithinPartitions("s", "i", "j")
+
+    def members_now() -> DataFrame:
+        live = rows.join(common.small(comp).withColumnRenamed("node", "h"), "h", "left")
+        return live.select("s", "n", "h", F.coalesce("label", "h").alias("label"))
+
+    sizes = held.select("h", "many", "counts")
+    # only to have fewer components: in one bucket for each two that still share some, the largest, each member meets one
+    live = members_now()
+    mixed = live.groupBy("s").agg(F.min("label").alias("_a"), F.max("label").alias("_b"), F.count("*").alias("_n")).where("_a <> _b")
+    mixed = common.cut(mixed.groupBy("_a", "_b").agg(F.max(F.struct("_n", "s")).alias("_m")).select("_m.s"))
+    live = live.join(common.small(mixed), "s", "left_semi").join(sizes, "h")
+    pairs = common.cut(dealt(live).mapInArrow(_across(False), "a long, b long").distinct())
+    found.append(settled(pairs, comp))
+    comp = joined(comp, found[-1])
+    common.forget(mixed, pairs)
+    # then components meet as a whole, one row each in a bucket, however many members they have there
+    one = F.lit(1).cast("long").alias("members")
+    box = lambda t: t.select("label", one, F.col("many").alias("least"), F.col("many").alias("most"), F.col("counts").alias("low"), F.col("counts").alias("high"))
+    kind = "label long, members long, least long, most long, low binary, high binary"
+    several = box(sizes.join(common.small(comp).withColumnRenamed("node", "h"), "h")).mapInArrow(_boxes, kind)
+    several = several.repartition("label").sortWithinPartitions("label").mapInArrow(_boxes, kind)
+    shape = common.cut(several.union(box(sizes.join(common.small(comp), sizes["h"] == F.col("node"), "left_anti").withColumnRenamed("h", "label"))))
+    # buckets of the same components (by their number and the sum of their hashes) are settled once
+    owners = common.cut(members_now().select("s", "n", "label").distinct())
+    mixed = owners.groupBy("s").agg(F.min("label").alias("_a"), F.max("label").alias("_b"), F.bit_xor(F.xxhash64("label")).alias("_x"), F.count("*").alias("_n")).where("_a <> _b")
+    mixed = common.cut(mixed.groupBy("_x", "_n", "_a", "_b").agg(F.min("s").alias("s")).select("s"))
+    asked = common.cut(owners.join(common.small(mixed), "s", "left_semi"))
+    listed = asked.groupBy("label").agg(F.count("*").alias("_n")).where(F.col("_n") <= LISTED).select("label")
+    listed = asked.join(listed, "label", "left_semi").groupBy("label").agg(F.collect_list("s").alias("buckets"))
+    live = asked.withColumn("h", F.col("label")).join(shape.join(listed, "label", "left"), "label")
+    near = common.cut(dealt(live).drop("h").mapInArrow(_meet(), "a long, b long, more long").distinct())
+    # members of a component of several meet those of all that may be near it, once
+    wide = near.where("more = 1").select(F.col("a").alias("s"), "b")
+    inside = wide.select("s").distinct().join(common.small(comp), F.col("s") == F.col("label")).select("s", F.col("node").alias("h"), F.lit(1).cast("long").alias("label"))
+    around = wide.join(common.small(comp), F.col("b") == F.col("label"), "left").select("s", F.coalesce("node", "b").alias("h"), F.lit(0).cast("long").alias("label"))
+    both = common.cut(inside.union(around))
+    counted = common.cut(both.groupBy("s").agg(F.count("*").alias("n")))
+    pairs = dealt(both.join(common.small(counted), "s").join(sizes, "h")).mapInArrow(_across(True), "a long, b long").distinct()
+    pairs = common.cut(pairs.union(near.where("more = 0").select(F.least("a", "b"), F.greatest("a", "b"))))
+    found.append(settled(pairs, comp))
+    comp = joined(comp, found[-1])
+    common.forget(mixed, pairs, shape, owners, asked, near, both, counted)
     links = found[0].union(found[1]).union(found[2]).union(found[3]).distinct()
     degree = links.select(F.col("a").alias("h")).union(links.select(F.col("b").alias("h"))).groupBy("h").agg(F.count("*").alias("links"))
     out = distinct.select("h", "rep", "copies").join(common.small(comp).withColumnRenamed("node", "h"), "h", "left").join(degree, "h", "left")
