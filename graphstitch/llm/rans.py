@@ -51,8 +51,9 @@ _LOW, _HEAD = np.uint64(1 << 31), struct.Struct("<4sBBHIIIIII")
 _BLOCKS = "part int, number int, at long, ids long, block binary"
 
 
-#: What the tokenizer's own pattern finds in lower-cased text of characters below U+0100.
-_PIECE = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|[0-9\xb2\xb3\xb9\xbc-\xbe]|[^\t\n\x0b\x0c\r \x85\xa0a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff0-9\xb2\xb3\xb9\xbc-\xbe]+")
+#: What the tokenizer's own pattern finds in lower-cased text of characters below U+0100, and the line ends
+#: between runs.
+_PIECE = re.compile("\n|'s|'t|'re|'ve|'m|'ll|'d|[a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff]+|[0-9\xb2\xb3\xb9\xbc-\xbe]|[^\t\n\x0b\x0c\r \x85\xa0a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff0-9\xb2\xb3\xb9\xbc-\xbe]+")
 
 
 class Tokens:
@@ -63,7 +64,7 @@ class Tokens:
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
@@ -74,6 +75,10 @@ class Tokens:
             form = json.load(f)
         self.known = form["pre_tokenizer"] == PRE_TOKENIZER and form["normalizer"] == NORMALIZER and form["model"].get("end_of_word_suffix") == "</w>"
         self.specials = [t["content"] for t in form["added_tokens"]]
+        # pre-tokens are normalised and cut already; the library's byte letters are put in here, so that only its model is left to run
+        self.model = Tokenizer.from_str(json.dumps(form | {"normalizer": None, "pre_tokenizer": {"type": "WhitespaceSplit"}, "added_tokens": []})) if self.known else None
+        letters = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
+        self.letters = {i: letters.pre_tokenize_str(chr(i))[0][0] for i in range(256) if i != 32}
         self.memo, self.pieces = Memo(self._fill, 300_000), Memo(self._pieces, 150_000)
 
     def _alone(self, chunk: str) -> bytes:
@@ -81,25 +86,40 @@ class Tokens:
 
     def _fill(self, chunks: list[str]) -> list[bytes]:
         out: list = [None] * len(chunks)
-        found, owner = [], []
         every = "\n".join(chunks)
         special = [t for t in self.specials if t in every]
-        for i, c in enumerate(chunks):
-            if self.known and (c.isascii() or max(c) < "\u0100") and not (special and any(t in c for t in special)):
-                got = _PIECE.findall(c.lower())
-                found += got
-                owner.append((i, len(got)))
-            else:
-                out[i] = self._alone(c)
-        ids, at = self.pieces.many(found) if found else [], 0
-        for i, n in owner:
-            out[i] = b"".join(ids[at : at + n])
-            at += n
+        if self.known and not special and max(every, default="") < "\u0100":
+            plain = chunks
+        else:
+            plain, place = [], []
+            for i, c in enumerate(chunks):
+                if self.known and (c.isascii() or max(c) < "\u0100") and not (special and any(t in c for t in special)):
+                    plain.append(c)
+                    place.append(i)
+                else:
+                    out[i] = self._alone(c)
+            every = "\n".join(plain)
+        if not plain:
+            return out
+        found = _PIECE.findall(every.lower())
+        ids = self.pieces.many(found)
+        ends = [i for i, p in enumerate(found) if p == "\n"]
+        got = [ids[a] if b - a == 1 else b"".join(ids[a:b]) for a, b in zip([0, *(e + 1 for e in ends)], [*ends, len(ids)])]
+        if plain is chunks:
+            return got
+        for i, x in zip(place, got):
+            out[i] = x
         return out
 
     def _pieces(self, pieces: list[str]) -> list[bytes]:
-        """All at once, with blanks between; the last token of each has the mark of a word's end."""
-        ids = np.array(self.tokenizer.encode(" ".join(pieces), add_special_tokens=False).ids, np.int64)
+        """All at once, with blanks between; the last token of each has the mark of a word's end. The line end has no tokens."""
+        if "\n" in pieces:
+            at = pieces.index("\n")
+            rest = pieces[:at] + pieces[at + 1 :]
+            got = self._pieces(rest) if rest else []
+            return [*got[:at], b"", *got[at:]]
+        text = " ".join(pieces)
+        ids = np.array(self.model.encode_batch_fast([text.translate(self.letters)], add_special_tokens=False)[0].ids, np.int64)
         cuts = np.flatnonzero(self.ends[ids]) + 1
         if len(cuts) != len(pieces):
             return list(map(self._alone, pieces))
