@@ -223,3 +223,56 @@ def test_irregular_graphs_are_derived_once(spark, monkeypatch):
     monkeypatch.setattr(MotifCatalog, "count", seen)
     got = workloads.irregular(spark, "/root/testdata/sf0.001", shapes=("triangle",)).collect()
     assert [r["rows"] for r in got] == [0, 0, 0] and plans and not any("Union" in p or "Aggregate" in p for p in plans)
+
+
+def test_motif_rows_are_counted_without_their_tables(spark):
+    """Counts equal the tables' rows for any bound between light and heavy vertices; a catalog asks no table for them."""
+    from graphstitch.operators.counting import Counts
+
+    shapes = ["path3", "triangle", "claw4", "path4", "ring4", "star4"]
+    for seed, (n, m, far) in enumerate([(12, 30, 1), (40, 150, 2**40), (9, 36, -7)]):
+        rng = random.Random(seed)
+        g = DataGraph.from_edges(spark.createDataFrame([(rng.randrange(n) - 5, min(rng.randrange(n), rng.randrange(n)) * far) for _ in range(m)], "u long, v long"))
+        g = DataGraph(g.vertices, spark.createDataFrame(g.edges.collect(), "u long, v long"))
+        c = MotifCatalog.build(g, ["edge", *shapes])
+        want = {s: c.table(s).count() for s in shapes}
+        assert want["ring4"] and want["triangle"]
+        for light in (2, 6, 64):
+            counts = Counts(g.edges, light=light, class_edges=20)
+            assert {s: counts.of(c.motifs[s].pattern) for s in shapes} == want
+        c._tables = {"edge": c.table("edge")}
+        assert {s: c.count(s) for s in shapes} == want
+    arcs = DataGraph.from_edges(spark.createDataFrame([(1, 2), (1, 3), (1, 4), (2, 3)], "u long, v long"), directed=True, symmetrize=False)
+    c = MotifCatalog.build(arcs, ["edge", "path3", "triangle"])
+    assert [c.count(s) for s in ("path3", "triangle")] == [c.table(s).count() for s in ("path3", "triangle")]
+
+
+def test_rows_around_a_hub_are_counted(spark):
+    """Two hubs over 20,000 leaves: more rows than could ever be listed."""
+    n = 20_000
+    edges = spark.range(n).select(F.explode(F.array(F.lit(-1), F.lit(-2)).cast("array<bigint>")).alias("u"), F.col("id").alias("v"))
+    c = MotifCatalog.build(DataGraph.from_edges(edges), ["edge", "path3", "triangle", "claw4", "path4", "ring4"])
+    assert c.count("claw4") == 2 * n * (n - 1) * (n - 2)
+    assert c.count("ring4") == 4 * n * (n - 1) and c.count("triangle") == 0
+    assert c.count("path4") == 2 * 2 * n * (n - 1)
+
+
+def test_knn_by_slices(spark, tmp_path, monkeypatch):
+    """Slices, ties of equal vectors and few vectors give the neighbours of a dense search; each vector is sent as stored."""
+    import numpy as np
+
+    monkeypatch.setattr(derive, "KNN_SLICE", 3)
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(40, 5)).astype(np.float32)
+    x[10:18] = x[3]
+    spark.createDataFrame([(i * 3, v.tolist(), 0) for i, v in enumerate(x)], "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    y = x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    cos = np.round(y @ y.T, 9)
+    want = set()
+    for i in range(40):
+        for j in sorted((j for j in range(40) if j != i), key=lambda j: (-cos[i, j], j))[:3]:
+            want |= {(3 * i, 3 * j), (3 * j, 3 * i)}
+    for block in (100, 6, 1):
+        got = derive.knn(spark, str(tmp_path), block=block)
+        assert {(r["u"], r["v"]) for r in got.edges.collect()} == want
+    assert "array<double>" not in got.edges._jdf.queryExecution().optimizedPlan().treeString() and derive.KNN_BLOCK >= 16_384
