@@ -276,3 +276,20 @@ def test_knn_by_slices(spark, tmp_path, monkeypatch):
         got = derive.knn(spark, str(tmp_path), block=block)
         assert {(r["u"], r["v"]) for r in got.edges.collect()} == want
     assert "array<double>" not in got.edges._jdf.queryExecution().optimizedPlan().treeString() and derive.KNN_BLOCK >= 16_384
+
+
+def test_irregular_counts_every_shape_of_every_graph(spark):
+    from graphstitch import workloads
+
+    sf = "/root/testdata/sf0.001"
+    got = workloads.irregular(spark, sf).collect()
+    assert {(r["graph"], r["motif"]) for r in got} == {(g, m) for g in ("copurchase", "supply", "knn", "pagelinks") for m in ("triangle", "ring4", "path4", "claw4")}
+    assert len(got) == 16 and all(r["seconds"] > 0 and r["derive_s"] > 0 for r in got)
+    for name in ("supply", "pagelinks"):
+        data = adjacency((r["u"], r["v"]) for r in derive.GRAPHS[name](spark, sf).edges.collect())
+        degree = {v: len(near) for v, near in data.items()}
+        rows = {r["motif"]: r["rows"] for r in got if r["graph"] == name}
+        assert rows["claw4"] == sum(d * (d - 1) * (d - 2) for d in degree.values()) and rows["triangle"] == 0
+        assert rows["path4"] == sum((degree[u] - 1) * (degree[v] - 1) for u in data for v in data[u])
+        shared = [len(set(data[a]) & set(data[b])) for a in data for b in data if a < b]
+        assert rows["ring4"] == 4 * sum(n * (n - 1) // 2 for n in shared)
